@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from trailgraph.functions.runtime import fresh, let
+from trailgraph.functions.runtime import fresh, let, materialize
 
 SPACE = r"[\x20\x09-\x0D]"
 WORD = r"[^\x20\x09-\x0D]+"
@@ -101,6 +101,7 @@ def references(docs: DataFrame, text_col: str = "text", lang_col: str = "lang",
     rows = docs.select(F.col(f"`{lang_col}`").alias("lang"), F.col(f"`{text_col}`").alias("t"))
     n = len(CLASSES) + 1
     per = rows.select("lang", class_counts(F.col("t")).alias("c")).groupBy("lang").agg(F.array(*[F.sum(F.col("c")[k]) for k in range(n)]).alias("classes"), F.sum(F.aggregate("c", F.lit(0).cast("long"), lambda a, x: a + x)).alias("chars"))
+    per, _ = materialize(per, "classes")  # a row per language, read twice
     counts = rows.where("lang is not null").select("lang", F.explode(_hashes(F.col("t"))).alias("h")).groupBy("lang", "h").agg(F.count("*").alias("n"))
     rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "h"))
     best = counts.withColumn("r", rank).where(F.col("r") <= top)
