@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from trailgraph.llm import mixing, quality, sharding, url_filter
+from trailgraph.llm import decontamination, mixing, quality, sharding, simhash, substring, token_counts, url_filter
 
 SHARD_BYTES = 64 << 20
 
@@ -23,10 +24,28 @@ def op1_extendible_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), s["name"].alias("shard"), s["local_depth"].alias("local_depth"), s["bytes"].alias("shard_bytes"))
 
 
+def op2_fixed_block_anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring.deduplicate(_table(spark, sf_dir, "documents"))
+
+
+def op3_whole_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts.counts(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
+def op5_pigeonhole_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    x = simhash.components(_table(spark, sf_dir, "documents"))
+    return x.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
 def op6_redirect_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(_table(spark, sf_dir, "pages")).select("page_id", "host", "path", "rule", "verdict")
 
 
+def op7_wu_manber_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    x = decontamination.judge(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+    return x.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
+
+
 def op8_divergence_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = quality.with_verdict(_table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), name="q")
     return x.select("doc_id", "q.n_words", "q.word_chars", "q.n_symbols", "q.n_dup_lines", "q.n_repeat_words", "q.base_failed", "q.kept", "q.class_distance", "q.word_distance")
