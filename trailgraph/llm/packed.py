@@ -101,21 +101,22 @@ class Table:
         return at, self.h[at] == h
 
 
-def reduce_buckets(packed: DataFrame, width: int, step: Callable, schema: str) -> DataFrame:
-    """Stream every bucket through ``step(state, kind, ids, keys, runs, hashes, spots)``.
+def reduce_buckets(packed: DataFrame, width: int, reducer: Callable, schema: str) -> DataFrame:
+    """Stream every bucket through a reducer that is made anew for each task.
 
-    ``state`` is a dict that is new for every bucket; ``step`` gives a RecordBatch or None.
+    ``step(state, kind, ids, keys, runs, hashes, spots)`` and, at the end, ``finish()`` give
+    RecordBatches; ``state`` is a dict that is new for every bucket.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        state, now = {}, None
+        work, state, now = reducer(), {}, None
         for b in batches:
             for r in range(b.num_rows):
                 bucket, kind, ids, keys, runs, hashes, spots = (b.column(c)[r].as_py() for c in range(7))
                 if bucket != now:
                     state, now = {}, bucket
                 ids, runs = unplanes(ids, np.int64), unplanes(runs, np.uint32)
-                if (out := step(state, kind, ids, unplanes(keys, np.int64) if keys else None, runs, hashes, unplanes(spots, np.uint32) if spots else None)) is not None:
-                    yield out
+                yield from work.step(state, kind, ids, unplanes(keys, np.int64) if keys else None, runs, hashes, unplanes(spots, np.uint32) if spots else None)
+        yield from work.finish()
 
     return packed.repartition(width, "bucket").sortWithinPartitions("bucket", "kind").mapInArrow(run, schema)

@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from trailgraph.functions.runtime import materialize, plan_bytes, shuffle_width
 from trailgraph.llm import bitmaps
-from trailgraph.llm.packed import ROW_SQL, Packer, Table, reduce_buckets
+from trailgraph.llm.packed import ROW_SQL, Packer, Table, planes, reduce_buckets, unplanes
 from trailgraph.llm.textarrays import chunks, longs, mix64, sums, windows, word_hashes
 
 WINDOW, BLOCK = 50, 25
@@ -81,31 +81,34 @@ def _anchors(rows: DataFrame, buckets: int, window: int, block: int) -> DataFram
     return rows.mapInArrow(run, ROW_SQL)
 
 
-def _meet(state: dict, kind: int, ids, keys, runs, hashes, _spots):
+class _Meet:
     """Documents whose probe hit the block of a smaller id, or whose block was hit by a larger one."""
-    h = np.frombuffer(hashes, np.uint32)
-    doc = np.repeat(np.arange(len(ids)), runs)
-    if kind == LEND:
-        state.setdefault("index", Table(np.uint32)).add(h, ids[doc])
-        return None
-    if "index" not in state:
-        return None
-    table: Table = state["index"]
-    at, there = table.find(h)
-    if kind == PROBE:
-        if "most" not in state:
-            state["most"] = np.full(len(table.h), np.iinfo(np.int64).min)
-        at, doc = at[there], doc[there]
-        np.maximum.at(state["most"], at, ids[doc])
-        hit = np.unique(doc[table.lo[at] < ids[doc]])
-    elif "most" in state:
+
+    def step(self, state: dict, kind: int, ids, keys, runs, hashes, _spots) -> Iterator[pa.RecordBatch]:
+        h = np.frombuffer(hashes, np.uint32)
+        doc = np.repeat(np.arange(len(ids)), runs)
+        if kind == LEND:
+            state.setdefault("index", Table(np.uint32)).add(h, ids[doc])
+            return
+        if "index" not in state:
+            return
+        table: Table = state["index"]
+        at, there = table.find(h)
         at, doc = at[there], doc[there]
-        hit = np.unique(doc[state["most"][at] > ids[doc]])
-    else:
-        return None
-    if not len(hit):
-        return None
-    return pa.RecordBatch.from_arrays([pa.array(_row_hash(ids[hit], keys[hit]).view(np.int64))], names=["row"])
+        if kind == PROBE:
+            if "most" not in state:
+                state["most"] = np.full(len(table.h), np.iinfo(np.int64).min)
+            np.maximum.at(state["most"], at, ids[doc])
+            hit = np.unique(doc[table.lo[at] < ids[doc]])
+        elif "most" in state:
+            hit = np.unique(doc[state["most"][at] > ids[doc]])
+        else:
+            return
+        if len(hit):
+            yield pa.RecordBatch.from_arrays([pa.array(_row_hash(ids[hit], keys[hit]).view(np.int64))], names=["row"])
+
+    def finish(self) -> Iterator[pa.RecordBatch]:
+        return iter(())
 
 
 def _extend(rows: DataFrame, buckets: int, window: int, bitmap) -> DataFrame:
@@ -131,22 +134,75 @@ def _extend(rows: DataFrame, buckets: int, window: int, bitmap) -> DataFrame:
     return rows.mapInArrow(run, ROW_SQL)
 
 
-def _taken(state: dict, kind: int, ids, keys, runs, hashes, spots):
-    """Window starts that a smaller id has too, packed by document."""
-    h = np.frombuffer(hashes, np.uint64)
-    doc = np.repeat(np.arange(len(ids)), runs)
-    if kind == FIRST:
-        state.setdefault("index", Table(np.uint64)).add(h, ids[doc])
-        return None
-    at, there = state["index"].find(h)
-    hit = there & (state["index"].lo[at] < ids[doc])
-    doc, spots = doc[hit], spots[hit]
-    if not len(doc):
-        return None
-    first = np.flatnonzero(np.append(True, doc[1:] != doc[:-1]))
-    parts = [spots[a:b].tobytes() for a, b in zip(first, np.append(first[1:], len(doc)))]
-    d = doc[first]
-    return pa.RecordBatch.from_arrays([pa.array(ids[d]), pa.array(keys[d]), pa.array(parts, pa.binary())], names=["doc_id", "rk", "spots"])
+class _Taken:
+    """Window starts that a smaller id has too, packed by the part of the documents they go to."""
+
+    def __init__(self, parts: int):
+        self.parts, self.held, self.size = parts, [], 0
+
+    def step(self, state: dict, kind: int, ids, keys, runs, hashes, spots) -> Iterator[pa.RecordBatch]:
+        h = np.frombuffer(hashes, np.uint64)
+        doc = np.repeat(np.arange(len(ids)), runs)
+        if kind == FIRST:
+            state.setdefault("index", Table(np.uint64)).add(h, ids[doc])
+            return
+        at, there = state["index"].find(h)
+        hit = there & (state["index"].lo[at] < ids[doc])
+        self.held.append((ids[doc[hit]], keys[doc[hit]], spots[hit]))
+        self.size += int(hit.sum())
+        if self.size > 1 << 21:
+            yield from self.finish()
+
+    def finish(self) -> Iterator[pa.RecordBatch]:
+        if not self.size:
+            return
+        ids, keys, spots = (np.concatenate(x) for x in zip(*self.held))
+        self.held, self.size = [], 0
+        part = (_row_hash(ids, keys) % np.uint64(self.parts)).astype(np.int32)
+        order = np.lexsort((spots, keys, ids, part))
+        ids, keys, spots, part = ids[order], keys[order], spots[order], part[order]
+        new = np.append(True, (part[1:] != part[:-1]) | (ids[1:] != ids[:-1]) | (keys[1:] != keys[:-1]))
+        run = np.flatnonzero(new)
+        length = np.diff(np.append(run, len(ids))).astype(np.uint32)
+        first = np.flatnonzero(np.append(True, part[1:] != part[:-1]))
+        out = []
+        for i, j in zip(first, np.append(first[1:], len(ids))):
+            x, y = np.searchsorted(run, (i, j))
+            out.append((int(part[i]), ids[run[x:y]].tobytes(), keys[run[x:y]].tobytes(), length[x:y].tobytes(), planes(spots[i:j])))
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), [pa.int32(), *[pa.binary()] * 4])], names=["part", "ids", "keys", "runs", "spots"])
+
+
+_PARTS_SQL = "part int, ids binary, keys binary, runs binary, spots binary"
+
+
+def _by_document(packed: DataFrame, width: int) -> DataFrame:
+    """(doc_id, rk, spots): one row per document that loses words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+        for b in batches:
+            for r in range(b.num_rows):
+                part = b.column(0)[r].as_py()
+                if part != now:
+                    yield from _merged(held)
+                    now, held = part, []
+                i, k, n, s = (b.column(c)[r].as_py() for c in range(1, 5))
+                runs = np.frombuffer(n, np.uint32)
+                held.append((np.repeat(np.frombuffer(i, np.int64), runs), np.repeat(np.frombuffer(k, np.int64), runs), unplanes(s, np.uint32)))
+        yield from _merged(held)
+
+    return packed.repartition(width, "part").sortWithinPartitions("part").mapInArrow(run, "doc_id long, rk long, spots binary")
+
+
+def _merged(held: list) -> Iterator[pa.RecordBatch]:
+    if not held:
+        return
+    ids, keys, spots = (np.concatenate(x) for x in zip(*held))
+    order = np.lexsort((spots, keys, ids))
+    ids, keys, spots = ids[order], keys[order], spots[order]
+    first = np.flatnonzero(np.append(True, (ids[1:] != ids[:-1]) | (keys[1:] != keys[:-1])))
+    parts = [np.unique(spots[a:b]).tobytes() for a, b in zip(first, np.append(first[1:], len(ids)))]
+    yield pa.RecordBatch.from_arrays([pa.array(ids[first]), pa.array(keys[first]), pa.array(parts, pa.binary())], names=["doc_id", "rk", "spots"])
 
 
 def _kept(text: bytes, spots: np.ndarray, window: int) -> tuple[list[bytes], int]:
@@ -167,10 +223,10 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     spark = rows.sparkSession
     width = shuffle_width(docs, 32 << 20, 2.0)
     buckets = 2 * width
-    flagged, _ = materialize(reduce_buckets(_anchors(rows, buckets, window, block), width, _meet, "row long").distinct(), "anchors")
+    flagged, _ = materialize(reduce_buckets(_anchors(rows, buckets, window, block), width, _Meet, "row long").distinct(), "anchors")
     near = spark.sparkContext.broadcast(bitmaps.build(flagged, F.col("row")))
-    taken, _ = materialize(reduce_buckets(_extend(rows, buckets, window, near), width, _taken, "doc_id long, rk long, spots binary"), "repeats")
-    losing = taken.groupBy("doc_id", "rk").agg(F.collect_list("spots").alias("spots"))
+    taken = reduce_buckets(_extend(rows, buckets, window, near), width, lambda: _Taken(buckets), _PARTS_SQL)
+    losing, _ = materialize(_by_document(taken, width), "repeats")
 
     digest = lambda words: hashlib.sha256(b" ".join(words)).hexdigest()
 
@@ -201,8 +257,7 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                 if n[r].is_valid:
                     out.append((n[r].as_py(), 0, sha[r].as_py(), text[r].as_py()))
                     continue
-                got = spots[r].as_py() or []
-                at = np.unique(np.concatenate([np.frombuffer(x, np.uint32) for x in got]).astype(np.int64)) if got else np.zeros(0, np.int64)
+                at = np.frombuffer(spots[r].as_py() or b"", np.uint32).astype(np.int64)
                 kept, m = _kept(text[r].as_py().encode("utf-8", "surrogatepass"), at, window)
                 out.append((m, m - len(kept), digest(kept), b" ".join(kept).decode("utf-8", "surrogatepass") if with_text else None))
             a, c, d, e = zip(*out) if out else ((), (), (), ())
