@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from trailgraph.llm import decontamination, mixing, quality, sharding, simhash, substring, token_counts, url_filter
+from trailgraph.llm import decontamination, line_dedup, mixing, quality, sharding, simhash, substring, token_counts, token_output, url_filter
 
 SHARD_BYTES = 64 << 20
 
@@ -32,6 +32,10 @@ def op3_whole_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.counts(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
+def op4_context_mixing_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_output.roundtrip(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+
+
 def op5_pigeonhole_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = simhash.components(_table(spark, sf_dir, "documents"))
     return x.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -55,6 +59,10 @@ def op9_prefix_sum_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op10_deletion_neighbourhood_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.deduplicate(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op") and callable(f)}
 
