@@ -54,11 +54,10 @@ class PieceCounter:
         parts = text.split(" ")
         if "" in parts:  # runs of blanks, or blanks at an end
             parts = self._runs(parts)
-        get = self.memo.get
-        counts = list(map(get, parts))
+        counts = list(map(self.memo.get, parts))
         if None in counts:
             self._learn([p for p, c in zip(parts, counts) if c is None])
-            counts = [get(p) if c is None else c for p, c in zip(parts, counts)]
+            counts = [self.memo[p] if c is None else c for p, c in zip(parts, counts)]
         return sum(counts)
 
     def _runs(self, parts: list[str]) -> list[str]:
@@ -78,7 +77,7 @@ class PieceCounter:
         """Encode each once. The model puts one blank before a text, so a pre-token goes in without its first blank."""
         new = list(dict.fromkeys(parts))
         if len(self.memo) + len(new) > MEMO + len(self.single):
-            self.memo = dict(self.single) | {p: self.memo[p] for p in set(self.memo) & set(parts)}
+            self.memo = dict(self.single)  # begun anew; the caller has the counts it found
         for p, got in zip(new, self.model.encode(new, num_threads=1)):
             self.memo[p] = len(got)
 
