@@ -1 +1 @@
-
+"""Competing methods."""

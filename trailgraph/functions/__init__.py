@@ -1 +1 @@
-
+"""Column helpers and session helpers."""

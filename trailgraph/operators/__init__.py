@@ -1 +1 @@
-
+"""Methods of the trail engine."""

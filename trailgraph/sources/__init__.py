@@ -1 +1 @@
-
+"""Readers and writers of ledgers and edge stores."""
