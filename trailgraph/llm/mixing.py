@@ -15,7 +15,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from trailgraph.functions.runtime import fresh, plan_bytes, shuffle_width
+from trailgraph.functions.runtime import fresh, plan_bytes
+from trailgraph.llm.sharding import HASH_BITS, hash_bits
 
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (5, 2, 1)
@@ -47,10 +48,9 @@ def targets(sources: DataFrame, share: float = 1.5, max_epochs: float = 2.0, wei
 
 def takes(sized: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights: tuple[int, ...] = WEIGHTS, seed: int = 9, rows_each: int = 20_000, bytes_hint: int = 0) -> DataFrame:
     """sized(doc_id, source, size) -> doc_id, source, size, source_size, target, taken (words, repeats counted)."""
-    spark = sized.sparkSession
     ranges = max(64, min(1 << 20, bytes_hint // (rows_each * 500)))
-    keyed = sized.withColumn("key", F.xxhash64(F.lit(seed), F.col("doc_id"))).withColumn("range", F.shiftrightunsigned("key", 44) % F.lit(1 << 20))
-    keyed = keyed.withColumn("range", F.floor(F.col("range") * ranges / F.lit(1 << 20)).cast("int"))
+    keyed = sized.withColumn("key", hash_bits(F.concat_ws(":", F.lit(seed), F.col("doc_id").cast("string"))))
+    keyed = keyed.withColumn("range", F.shiftright(F.shiftright("key", HASH_BITS - 20) * ranges, 20).cast("int"))
     per_range = keyed.groupBy("source", "range").agg(F.sum("size").alias("s"))
     by_source = Window.partitionBy("source")
     per_range = per_range.select(

@@ -13,7 +13,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from trailgraph.functions.runtime import fresh, materialize
@@ -22,7 +22,8 @@ HASH_BITS = 60  # 15 hexadecimal digits of md5, a positive long
 PARTS = 64  # parts of an overflowing key whose page offsets are summed apart
 
 
-def hash_bits(key) -> F.Column:
+def hash_bits(key: Column) -> Column:
+    """60 well-mixed bits, the same in any engine that has md5."""
     return F.conv(F.substring(F.md5(F.coalesce(key.cast("string"), F.lit(""))), 1, 15), 16, 10).cast("long")
 
 
@@ -42,16 +43,22 @@ def directory(hist: DataFrame, limit: int, depth: int) -> DataFrame:
     )
 
 
-def assign(docs: DataFrame, limit: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def text_bytes(text: Column) -> Column:
+    return F.coalesce(F.octet_length(text), F.lit(0)).cast("long")
+
+
+def assign(docs: DataFrame, limit: int, id_col: str = "doc_id", text_col: str = "text", size: Column | None = None) -> DataFrame:
     """The rows of ``docs`` with a struct column ``shard`` (name, bits, local_depth, page, bytes) added at the end.
 
     ``bits``: the prefix as a string of 0 and 1; ``name``: bits, and the page where one is needed.
+    ``size``: a row's bytes, if not those of its text; so the texts can stay where they are.
     """
+    size = text_bytes(F.col(f"`{text_col}`")) if size is None else size
     if limit < 1:
         raise ValueError("limit must be positive")
     h, n = fresh(docs, "__hash"), fresh(docs, "__bytes")
-    rows = docs.withColumns({h: hash_bits(F.col(id_col)), n: F.coalesce(F.octet_length(F.col(text_col)), F.lit(0)).cast("long")})
-    total = docs.agg(F.sum(F.coalesce(F.octet_length(text_col), F.lit(0)).cast("long"))).first()[0] or 0
+    rows = docs.withColumns({h: hash_bits(F.col(f"`{id_col}`")), n: size})
+    total = docs.agg(F.sum(size)).first()[0] or 0
     depth = _fine_depth(total, limit)
     prefix = F.shiftright(F.col(h), HASH_BITS - depth)
     sizes = rows.select(F.col(h).alias("h"), F.col(n).alias("n"))
@@ -91,7 +98,7 @@ def _paged(rows: DataFrame, limit: int, p: str, n: str, id_col: str, out: list,
     sums = rows.groupBy(p, part).agg(F.sum(n).alias("s"), F.max(n).alias("most"))
     w = Window.partitionBy(p)
     sums = sums.select(p, part, (F.sum("s").over(w.orderBy(part)) - F.col("s")).alias("before"), F.max("most").over(w).alias("most"))
-    inner = Window.partitionBy(p, part).orderBy(F.col(id_col)).rowsBetween(Window.unboundedPreceding, -1)
+    inner = Window.partitionBy(p, part).orderBy(F.col(f"`{id_col}`")).rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn(seq, F.coalesce(F.sum(n).over(inner), F.lit(0)))
     joined = rows.join(sums, [p, part])
     step = F.greatest(F.lit(1).cast("long"), F.lit(limit) - F.col("most") + 1)
