@@ -7,7 +7,8 @@ lines must be equal. A line goes if an earlier line - by (doc_id, line number),
 is near it; so the earliest stays.
 
 1. Screening. One edit leaves the first or the last half of the shorter line as it is. Lines whose
-   halves meet no other line are done; a bitmap of fixed size carries the rest to the next scan.
+   halves meet no other line are done; a bitmap of fixed size, filled with the halves that lines
+   share, carries the rest to the next scan.
 2. Neighbourhood. Each remaining distinct line emits the hash of itself and of itself without its
    i-th word, for every i. Equal hashes join: a line meets a longer one where it equals a deletion of it,
    and a line of its length where both lack the same place i.
@@ -15,8 +16,9 @@ is near it; so the earliest stays.
    A line whose partner fails it (a collision of 64-bit hashes) stays.
 4. Lines that go are cut out of their documents.
 
-Only the earliest position per hash travels on (combined within each chunk of text before the
-shuffle), so a line in a third of all documents is a handful of rows and no pairs are made.
+Only distinct (hash, place, line) rows travel (told apart within each chunk of text before the
+shuffle), so a line in a third of all documents is a handful of rows; a line's partner is the earliest
+of its group by an aggregate, so no pairs are made.
 
 Defined cases: null or empty text has one line without words; null doc_id sorts before all others;
 repeated rows: the second loses its lines (positions are told apart by the row's text only where texts
@@ -35,7 +37,7 @@ from pyspark.sql import functions as F
 
 from trailgraph.functions.runtime import materialize
 from trailgraph.llm import bitmaps
-from trailgraph.llm.textarrays import _SPACE, chunks, longs, mix64, powers, sums, windows, word_hashes
+from trailgraph.llm.textarrays import chunks, longs, mix64, powers, sums, windows, word_hashes
 
 LEAST = 5
 _NULL = np.iinfo(np.int64).min
@@ -95,17 +97,6 @@ def _i64(a: np.ndarray) -> pa.Array:
     return pa.array(a.view(np.int64) if a.dtype == np.uint64 else a.astype(np.int64))
 
 
-def _earliest(keys: tuple, ids: np.ndarray, no: np.ndarray) -> np.ndarray:
-    """Places of the first row, by (id, number), of each combination of ``keys``."""
-    order = np.lexsort((no, ids, *keys[::-1]))
-    change = np.zeros(len(order), bool)
-    change[:1] = True
-    for k in keys:
-        k = k[order]
-        change[1:] |= k[1:] != k[:-1]
-    return order[change]
-
-
 def _scan(rows: DataFrame, make, schema: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -137,59 +128,50 @@ def removed_lines(rows: DataFrame) -> DataFrame:
     """(doc_id, rk, no): numbers of the lines that go."""
 
     def occurrences(x: Lines, ids, rk, _c):
-        return pa.RecordBatch.from_arrays([_i64(x.key), _i64(ids[x.doc]), _i64(rk[x.doc]), _i64(x.no)], names=["k", "doc_id", "rk", "no"]) if len(x.at) else None
-
-    def halves(x: Lines, _ids, _rk, _c):
-        at, h = x.halves()
-        if not len(at):
+        if not len(x.at):
             return None
-        one = _earliest((h, x.key[at]), at, at)
-        return pa.RecordBatch.from_arrays([_i64(h[one]), _i64(x.key[at][one])], names=["h", "k"])
+        at, h = x.halves()
+        ends = np.zeros((len(x.at), 4), np.int64)
+        ends[at.reshape(4, -1)[0]] = h.view(np.int64).reshape(4, -1).T
+        long_enough = x.n >= LEAST
+        offsets = np.concatenate([[0], np.cumsum(np.where(long_enough, 4, 0))]).astype(np.int32)
+        halves = pa.ListArray.from_arrays(pa.array(offsets), pa.array(ends[long_enough].ravel()))
+        return pa.RecordBatch.from_arrays([_i64(x.key), _i64(ids[x.doc]), _i64(rk[x.doc]), _i64(x.no), halves], names=["k", "doc_id", "rk", "no", "h"])
 
-    seen = _scan(rows, occurrences, "k long, doc_id long, rk long, no long")
-    first = seen.groupBy("k").agg(F.min(F.struct("doc_id", "no")).alias("p"))
-    shared = _scan(rows, halves, "h long, k long")
-    ends = shared.groupBy("h").agg(F.min("k").alias("lo"), F.max("k").alias("hi")).where("lo <> hi").select("h")
-    candidates, _ = materialize(shared.join(ends, "h", "left_semi").select("k").distinct(), "line-candidates")
     spark = rows.sparkSession
-    wanted = spark.sparkContext.broadcast(bitmaps.build(candidates, F.col("k")))
+    seen, _ = materialize(_scan(rows, occurrences, "k long, doc_id long, rk long, no long, h array<bigint>"), "lines")
+    ends = seen.select("k", F.explode("h").alias("h")).groupBy("h").agg(F.min("k").alias("lo"), F.max("k").alias("hi")).where("lo <> hi")
+    met_half = spark.sparkContext.broadcast(bitmaps.build(ends, F.col("h")))
 
-    def variants(x: Lines, ids, _rk, _c):
-        which = np.flatnonzero((x.n >= LEAST) & bitmaps.has(wanted.value, x.key))
+    def variants(x: Lines, ids, _rk, c):
+        """Hashes of lines that share a half with another, whole (-1) and without word i; and their words (-2)."""
+        at, h = x.halves()
+        which = np.unique(at[bitmaps.has(met_half.value, h)])
         if not len(which):
             return None
-        which = which[_earliest((x.key[which],), ids[x.doc[which]], x.no[which])]
+        which = which[np.unique(x.key[which], return_index=True)[1]]
         at, left_out, h = x.neighbours(which)
-        one = _earliest((h, left_out, x.key[at]), ids[x.doc[at]], x.no[at])
-        at = at[one]
-        return pa.RecordBatch.from_arrays([_i64(h[one]), pa.array(left_out[one].astype(np.int32)), _i64(x.key[at]), _i64(ids[x.doc[at]]), pa.array(x.no[at].astype(np.int32))], names=["v", "i", "k", "doc_id", "no"])
-
-    p = F.struct("doc_id", "no", "k")
-    all_variants = _scan(rows, variants, "v long, i int, k long, doc_id long, no int")
-    met, _ = materialize(all_variants.groupBy("v", "i", "k").agg(F.min(F.struct("doc_id", "no")).alias("q")).select("v", "i", "k", "q.doc_id", "q.no").repartition("v").transform(_only_shared), "line-variants")
-    whole = met.where("i = -1").groupBy("v").agg(F.min(p).alias("p"))
-    lacking = met.where("i >= 0").groupBy("v").agg(F.min(p).alias("p"))
-    same_place = met.where("i >= 0").groupBy("v", "i").agg(F.min(p).alias("p"))
-    found = (
-        met.where("i = -1").join(lacking, "v").select("k", "p")
-        .union(met.where("i >= 0").join(whole, "v").select("k", "p"))
-        .union(met.where("i >= 0").join(same_place, ["v", "i"]).select("k", "p"))
-        .where("p.k <> k").groupBy("k").agg(F.min("p").alias("p"))
-    )
-    pairs, _ = materialize(found.select("k", F.col("p.doc_id").alias("pd"), F.col("p.no").alias("pn"), F.col("p.k").alias("pk")), "line-pairs")
-    named = pairs.select(F.explode(F.array("k", "pk")).alias("k")).distinct()
-    spelled = spark.sparkContext.broadcast(bitmaps.build(named, F.col("k")))
-
-    def spell(x: Lines, ids, _rk, c):
-        which = np.flatnonzero(bitmaps.has(spelled.value, x.key))
-        if not len(which):
-            return None
-        which = which[_earliest((x.key[which],), ids[x.doc[which]], x.no[which])]
         s, e, _ = c.words()
         words = [c.data[s[a] : e[b - 1]].tobytes().decode("utf-8", "replace") for a, b in zip(x.at[which], x.to[which])]
-        return pa.RecordBatch.from_arrays([_i64(x.key[which]), pa.array(words, pa.string())], names=["k", "line"])
+        v, i, k = np.concatenate([x.key[which], h]), np.concatenate([np.full(len(which), -2), left_out]), np.concatenate([x.key[which], x.key[at]])
+        return pa.RecordBatch.from_arrays([_i64(v), pa.array(i.astype(np.int32)), _i64(k), pa.array(words + [None] * len(h), pa.string())], names=["v", "i", "k", "line"])
 
-    lines = _scan(rows, spell, "k long, line string").join(named, "k", "left_semi").groupBy("k").agg(F.min("line").alias("line"))
+    all_variants, _ = materialize(_scan(rows, variants, "v long, i int, k long, line string").distinct(), "line-variants")
+    hashes = all_variants.where("i >= -1").select("v", "i", "k")
+    shared = hashes.groupBy("v").agg(F.min("k").alias("lo"), F.max("k").alias("hi")).where("lo <> hi").select("v")
+    first = seen.groupBy("k").agg(F.min(F.struct("doc_id", "no")).alias("p"))
+    met, _ = materialize(hashes.join(shared, "v", "left_semi").join(first, "k").select("v", "i", "k", F.struct("p.doc_id", "p.no", "k").alias("p")), "lines-met")
+    whole = met.where("i = -1").groupBy("v").agg(F.min("p").alias("q"))
+    lacking = met.where("i >= 0").groupBy("v").agg(F.min("p").alias("q"))
+    same_place = met.where("i >= 0").groupBy("v", "i").agg(F.min("p").alias("q"))
+    found = (
+        met.where("i = -1").join(lacking, "v").select("k", "q")
+        .union(met.where("i >= 0").join(whole, "v").select("k", "q"))
+        .union(met.where("i >= 0").join(same_place, ["v", "i"]).select("k", "q"))
+        .where("q.k <> k").groupBy("k").agg(F.min("q").alias("q"))
+    )
+    pairs = found.select("k", F.col("q.doc_id").alias("pd"), F.col("q.no").alias("pn"), F.col("q.k").alias("pk"))
+    lines = all_variants.where("i = -2").groupBy("k").agg(F.min("line").alias("line"))
     told = pairs.join(lines, "k").join(lines.select(F.col("k").alias("pk"), F.col("line").alias("partner")), "pk")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -197,20 +179,13 @@ def removed_lines(rows: DataFrame) -> DataFrame:
             ok = [_near(x.encode().split(), y.encode().split()) for x, y in zip(b.column(3).to_pylist(), b.column(4).to_pylist())]
             yield pa.RecordBatch.from_arrays([b.column(k) for k in range(3)], names=["k", "pd", "pn"]).filter(pa.array(ok, pa.bool_()))
 
-    near = told.select("k", "pd", "pn", "line", "partner").mapInArrow(verify, "k long, pd long, pn int")
-    best = first.join(near, "k", "left").select("k", F.least(F.col("p.doc_id"), F.coalesce("pd", "p.doc_id")).alias("ad"), F.col("p").alias("p"), "pd", F.col("pn").cast("long").alias("pn"))
+    near = told.select("k", "pd", "pn", "line", "partner").mapInArrow(verify, "k long, pd long, pn long")
     earliest = F.least(F.struct(F.col("p.doc_id").alias("d"), F.col("p.no").alias("n")), F.struct(F.coalesce("pd", "p.doc_id").alias("d"), F.coalesce("pn", "p.no").alias("n")))
-    best = best.select("k", earliest.alias("e"))
-    x = seen.join(best, "k")
+    best = first.join(near, "k", "left").select("k", earliest.alias("e"))
+    x = seen.select("k", "doc_id", "rk", "no").join(best, "k")
     return x.where(F.struct(F.col("doc_id").alias("d"), F.col("no").alias("n")) > F.col("e")).select("doc_id", "rk", "no")
 
 
-def _only_shared(met: DataFrame) -> DataFrame:
-    """Rows whose hash is that of two lines or more; both sides are dealt by hash already."""
-    keys = met.groupBy("v").agg(F.min("k").alias("lo"), F.max("k").alias("hi")).where("lo <> hi").select("v")
-    return met.join(keys, "v", "left_semi")
-
-
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
     """doc_id, n_lines (with a word), n_removed, kept_sha256 (and kept_text): kept lines joined by a line feed."""
     rows = _rows(docs, id_col, text_col)
