@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from trailgraph.functions.runtime import fresh, materialize
+from trailgraph.functions.runtime import fresh, let, materialize
 from trailgraph.operators.components import wcc
 
 LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -74,7 +74,7 @@ def alias_edges(pages: DataFrame, url: str = "url", html: str = "html") -> DataF
     u = F.col(f"`{url}`")
     links = F.filter(F.array(*[F.regexp_extract(F.col(f"`{html}`"), p, 1) for p in (_CANONICAL, _REFRESH)]), lambda x: x != "")
     found = pages.where(F.col(f"`{html}`").isNotNull()).select(u.alias("u"), F.explode(links).alias("l"))
-    pairs = found.select(node_of(F.col("u")).alias("src"), node_of(resolve(F.col("u"), F.replace("l", F.lit("&amp;"), F.lit("&")))).alias("dst"))
+    pairs = found.select(let(F.col("u"), node_of).alias("src"), let(resolve(F.col("u"), F.replace("l", F.lit("&amp;"), F.lit("&"))), node_of).alias("dst"))
     return pairs.where("src <> dst")
 
 
