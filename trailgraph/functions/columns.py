@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def pair_label(a: str, b: str) -> Column:
@@ -27,19 +28,19 @@ def bucketed(value: Column, step: float) -> Column:
     return F.floor(value / F.lit(step))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def median_hold(gap: pd.Series) -> float:
     """A grouped aggregate."""
     return float(gap.median()) if len(gap) else float("nan")
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def mask_account(acct: pd.Series) -> pd.Series:
     """U4: all but the last two digits starred."""
     return acct.map(lambda x: None if x is None else "*" * max(0, len(x) - 2) + x[-2:])
 
 
-@F.udtf(returnType="depth int, node long")
+@F.udtf(returnType=T.StructType([T.StructField("depth", T.IntegerType()), T.StructField("node", T.LongType())]))
 class Reach:
     """Nodes within ``hops`` of a start, over an adjacency list packed as "a:b,c;b:d"."""
 

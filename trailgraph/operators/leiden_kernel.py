@@ -13,6 +13,7 @@ import random
 from collections import deque
 
 _EPS = 1e-12
+RESTARTS, RESTART_EDGES = 8, 64
 
 
 class _Level:
@@ -137,7 +138,21 @@ def _split_loose(n: int, links, comm: list[int]) -> list[int]:
 
 
 def run(src: list, dst: list, w: list, m: float | None = None, resolution: float = 1.0, max_comm_size: int | None = None, seed: int = 42, quality: str = "modularity", directed: bool = True, max_iterations: int = 50) -> dict:
-    """Edges of any hashable, sortable ids -> {id: least id of its community}."""
+    """Edges of any hashable, sortable ids -> {id: least id of its community}.
+
+    Graphs of up to ``RESTART_EDGES`` edges are solved from ``RESTARTS`` visiting orders and the best labelling stays.
+    """
+    kw = dict(m=m, resolution=resolution, max_comm_size=max_comm_size, quality=quality, directed=directed, max_iterations=max_iterations)
+    if len(src) == 1 or len(src) > RESTART_EDGES or quality != "modularity":
+        return _solve(src, dst, w, seed=seed, **kw)
+    found = [_solve(src, dst, w, seed=seed + k, **kw) for k in range(RESTARTS)]
+    if directed:
+        return max(found, key=lambda lab: round(modularity(src, dst, w, lab, m, resolution), 12))
+    s, d, x = [*src, *dst], [*dst, *src], [*w, *w]
+    return max(found, key=lambda lab: round(modularity(s, d, x, lab, None if m is None else 2 * m, resolution), 12))
+
+
+def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, max_comm_size: int | None, seed: int, quality: str, directed: bool, max_iterations: int) -> dict:
     names = sorted({*src, *dst})
     at = {x: i for i, x in enumerate(names)}
     n = len(names)

@@ -74,8 +74,10 @@ def daily(txn: DataFrame, delta_w: timedelta, path: str | None = None) -> DataFr
     path = path or scratch_path(spark, "daily-edges")
     t = txn.withColumn("__day", day(micros()))
     lo, hi = t.agg(F.min("__day"), F.max("__day")).first()
+    if lo is None:
+        return bucketed(txn, txn, delta_w)
     back = timedelta(days=-(-_us(delta_w) // DAY))
-    while lo is not None and lo <= hi:
+    while lo <= hi:
         near = t.where(F.col("__day").between(F.lit(lo - back), F.lit(lo)))
         bucketed(near, t.where(F.col("__day") == F.lit(lo)), delta_w).write.mode("append").partitionBy("src_date", "dst_date").parquet(path)
         lo += timedelta(days=1)
