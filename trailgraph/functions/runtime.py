@@ -56,8 +56,16 @@ def fresh(df: DataFrame, base: str) -> str:
 
 
 def plan_bytes(df: DataFrame) -> int:
-    """The optimizer's size of ``df``; a scan gives the bytes of its files, so nothing is read for it."""
-    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    """Bytes of ``df``: the optimizer's estimate, which for a scan is that of its files, so nothing is read.
+
+    Where the optimizer doesn't know (it then says exabytes), the texts are added up.
+    """
+    said = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if said < 1 << 50:
+        return said
+    texts = [F.coalesce(F.octet_length(F.col(f"`{c}`")), F.lit(0)) for c, t in df.dtypes if t in ("string", "binary")]
+    each = sum(texts, F.lit(16 * len(df.columns))).cast("long")
+    return int(df.agg(F.sum(each)).first()[0] or 0)
 
 
 def shuffle_width(df: DataFrame, bytes_each: int = 64 << 20, expansion: float = 4.0) -> int:
