@@ -23,8 +23,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from trailgraph.functions.runtime import fresh
 from trailgraph.llm.textarrays import chunks
 
 WINDOW, BLOCK_BYTES = 13, 32 << 20
@@ -115,10 +115,15 @@ def _verdict(n: int, runs: list[tuple[int, int]], items) -> dict:
     return {"n_words": n, "n_hit": hit, "n_items": k, "items_sha256": sha, "contaminated": hit > 0 and 20 * hit >= n, "items": sorted({x for x in items if x is not None})}
 
 
-_REPORT = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, items array<string>"
+_REPORT = T.StructType([T.StructField("n_words", T.LongType()), T.StructField("n_hit", T.LongType()), T.StructField("n_items", T.LongType()), T.StructField("items_sha256", T.StringType()), T.StructField("contaminated", T.BooleanType()), T.StructField("items", T.ArrayType(T.StringType()))])
 _TYPES = [("n_words", pa.int64()), ("n_hit", pa.int64()), ("n_items", pa.int64()), ("items_sha256", pa.string()), ("contaminated", pa.bool_()), ("items", pa.list_(pa.string()))]
 
 
+def _schema(rows: DataFrame) -> T.StructType:
+    """The report's columns after doc_id and row, whatever the names inside row."""
+    return T.StructType([rows.schema["doc_id"], rows.schema["row"], *_REPORT.fields])
+
+
 def judge(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES, keep_text: bool = False) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, items of every row of ``docs``.
 
@@ -144,8 +149,7 @@ def _one_pass(rows: DataFrame, searcher) -> DataFrame:
                     out.append(_verdict(len(w), _runs(hits), items))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), *[pa.array([x[k] for x in out], t) for k, t in _TYPES]], names=["doc_id", "row", *[k for k, _ in _TYPES]])
 
-    kind = dict(rows.dtypes)
-    return rows.mapInArrow(run, f"doc_id {kind['doc_id']}, row {kind['row']}, {_REPORT}")
+    return rows.mapInArrow(run, _schema(rows))
 
 
 def _many_passes(rows: DataFrame, searchers: list) -> DataFrame:
@@ -182,9 +186,8 @@ def _many_passes(rows: DataFrame, searchers: list) -> DataFrame:
                     out.append(_verdict(len(words_of(c.text(i))), _runs(hits), b.column(4)[c.first + i].as_py() or []))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), *[pa.array([x[k] for x in out], t) for k, t in _TYPES]], names=["doc_id", "row", *[k for k, _ in _TYPES]])
 
-    kind = dict(rows.dtypes)
     joined = keyed.join(united, "key", "left").select("doc_id", "text", "row", "hits", "items")
-    return joined.mapInArrow(settle, f"doc_id {kind['doc_id']}, row {kind['row']}, {_REPORT}")
+    return joined.mapInArrow(settle, _schema(rows))
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, **kw) -> DataFrame:

@@ -81,7 +81,7 @@ def mixed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """
     k, t = fresh(docs, "__id"), fresh(docs, "__times")
     plan = mix(docs, id_col, text_col, source_col, **kw)
-    times = plan.groupBy(F.col("doc_id").alias(k)).agg(F.max(F.floor((F.col("taken") * 2 + F.col("size")) / (F.col("size") * 2))).cast("int").alias(t))
+    times = plan.groupBy(F.col("doc_id").alias(k)).agg(F.max(F.floor(F.try_divide(F.col("taken") * 2 + F.col("size"), F.col("size") * 2))).cast("int").alias(t))
     joined = docs.join(times, F.col(f"`{id_col}`").eqNullSafe(F.col(k)))
     names = [F.col(f"`{c}`") for c in docs.columns]
     return joined.where(F.col(t) > 0).select(*names, F.explode(F.sequence(F.lit(1), F.col(t))).alias(k)).select(*names)

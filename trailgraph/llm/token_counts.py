@@ -43,7 +43,8 @@ class PieceCounter:
         self.single: dict[str, int] = {}
         if self.separable:
             begins = [p for p in pieces if p.startswith(MARK) and p.count(MARK) == 1]
-            self.single = {p[1:]: 1 for p, got in zip(begins, m.encode([p[1:] for p in begins], num_threads=1)) if len(got) == 1}
+            self.single = {MARK: len(m.encode("a ")) - len(m.encode("a"))}  # one blank at the end of a text
+            self.single |= {p[1:]: 1 for p, got in zip(begins, m.encode([p[1:] for p in begins], num_threads=1)) if len(got) == 1}
         self.memo: dict[str, int] = dict(self.single)
 
     def count(self, text: str) -> int:
@@ -70,7 +71,7 @@ class PieceCounter:
             else:
                 blanks += 1
         if blanks:
-            out.append(" " * (blanks - 1))
+            out.append(" " * (blanks - 1) if blanks > 1 else MARK)
         return out
 
     def _learn(self, parts: list[str]) -> None:
