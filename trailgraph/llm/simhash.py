@@ -201,7 +201,7 @@ def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     keep = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy(F.col("doc_id").alias(k)).agg(F.count("*").alias(c := fresh(docs, "__copies")))
     keep, _ = materialize(keep, "keep")
     names = [F.col(f"`{x}`") for x in docs.columns]
-    out = docs.join(keep, F.col(f"`{id_col}`").eqNullSafe(F.col(k)))
+    out = docs.join(keep.hint("merge"), F.col(f"`{id_col}`").eqNullSafe(F.col(k)))  # the same way at every size: ids grow with the documents
     if keep.where(F.col(c) > 1).isEmpty():
         return out.select(*names)
     once = out.where(F.col(c) == 1).select(*names)
