@@ -19,6 +19,7 @@ table writes no group and reads as no rows.
 
 from __future__ import annotations
 
+import os
 import re
 import zlib
 from collections.abc import Iterator
@@ -42,6 +43,7 @@ class Encoder:
     """Ids of whole texts as little-endian unsigned 32-bit integers."""
 
     def __init__(self, path: str):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks share the cores already
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_file(path)
@@ -50,7 +52,7 @@ class Encoder:
         self.special = [t.content.encode() for t in self.model.get_added_tokens_decoder().values()]
         probe = "It's 12 o'clock,\n<b>NOW</b> — Straße №5"
         self.splits = [x for p in probe.split() for x in self._ids(p)] == self._ids(probe) and all(len(s.split()) == 1 for s in self.special)
-        self.plain = self.splits and all(self._joined(p) == self._ids(p.decode()) for p in (b"it's12,ok", b"don't...stop", b"<a>'ll1've", b"x_y-z"))
+        self.plain = self.splits and all(s.startswith(b"<|") for s in self.special) and all(self._joined(p) == self._ids(p.decode()) for p in (b"it's12,ok", b"don't...stop", b"<a>'ll1've", b"x_y-z"))
         self.memo: dict[bytes, bytes] = {}
         self.parts: dict[bytes, bytes] = {}
 
@@ -70,30 +72,33 @@ class Encoder:
             got = [self.memo[p] if g is None else g for p, g in zip(pieces, got)]
         return b"".join(got)
 
+    def _batch(self, pieces: list[bytes]) -> list[bytes]:
+        got = self.model.encode_batch_fast([p.decode("utf-8", "replace") for p in pieces], add_special_tokens=False)
+        return [np.array(e.ids, "<u4").tobytes() for e in got]
+
     def _learn(self, pieces: list[bytes]) -> None:
+        """Ids of new pieces. Plain ASCII ones are put together from their parts, so that few go to the library."""
         new = list(dict.fromkeys(pieces))
         if len(self.memo) + len(new) > MEMO:
-            self.memo = {p: self.memo[p] for p in set(pieces) & set(self.memo)}
-            self.memo |= {}
+            self.memo = {}  # begun anew; the caller has what it found
         if len(self.parts) > MEMO:
             self.parts = {}
-        hard = []
+        hard, simple, missing = [], [], {}
         for p in new:
-            low = p.lower()
-            if self.plain and p.isascii() and not any(s in p for s in self.special):
-                parts = _PLAIN.findall(low)
-                found = [self.parts.get(x) for x in parts]
-                if None in found:
-                    missing = [x for x, f in zip(parts, found) if f is None]
-                    for x, e in zip(missing, self.model.encode_batch_fast([x.decode() for x in missing], add_special_tokens=False)):
-                        self.parts[x] = np.array(e.ids, "<u4").tobytes()
-                    found = [self.parts[x] for x in parts]
-                self.memo[p] = b"".join(found)
+            if self.plain and p.isascii() and b"<|" not in p:
+                parts = _PLAIN.findall(p.lower())
+                simple.append((p, parts))
+                for x in parts:
+                    if x not in self.parts:
+                        missing[x] = None
             else:
                 hard.append(p)
-        if hard:
-            for p, e in zip(hard, self.model.encode_batch_fast([p.decode("utf-8", "replace") for p in hard], add_special_tokens=False)):
-                self.memo[p] = np.array(e.ids, "<u4").tobytes()
+        ids = self._batch([*missing, *hard])
+        self.parts.update(zip(missing, ids))
+        self.memo.update(zip(hard, ids[len(missing) :]))
+        known = self.parts
+        for p, parts in simple:
+            self.memo[p] = b"".join([known[x] for x in parts])
 
 
 _encoders: dict[str, Encoder] = {}
