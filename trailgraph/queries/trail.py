@@ -13,7 +13,7 @@ from trailgraph.functions import columns
 from trailgraph.functions.runtime import materialize, scratch_path
 from trailgraph.operators import anomaly, community, flows, prep, risk, second_order, temporal
 from trailgraph.operators.components import wcc
-from trailgraph.plans import config, metrics, pipeline, sqlsurface
+from trailgraph.plans import config, experiments, metrics, pipeline, sqlsurface
 from trailgraph.queries import fixtures
 from trailgraph.queries.sql import ACCT, DAY, EVENTS, HOUR, PAY, ROLES, SEDGE, SUMMARY, TRADE, WCC, WTS, c1, q, tedge, wedge
 from trailgraph.sources import ledger, store
@@ -521,6 +521,15 @@ def maxflow_fixture(spark, d):
     return risk.temporal_max_flow(p, e, keys=("flow",))
 
 
+@query(fixtures.values_sql(fixtures.MAXFLOW_ANSWERS, "flow BIGINT, max_flow BIGINT"))
+def maxflow_cogroup(spark, d):
+    """Payments and edges of each flow as cogrouped tables."""
+    t = fixtures.payments(spark)
+    e = temporal.build(t.drop("flow"), timedelta(days=5))
+    p = flows.payments(t.select("flow", "txn_id"), t.drop("flow"), ("flow",))
+    return risk.temporal_max_flow_cogrouped(p, e, ("flow",))
+
+
 @query(None)
 def suspicious_flows(spark, d):
     """C1, C2 and C3 together on weak components."""
@@ -948,6 +957,35 @@ def approximate_degrees(spark, d):
     return x.agg(F.count_if(F.abs(F.col("degree") - F.col("near")) > F.greatest(F.lit(2.0), F.col("degree") * 0.1)).alias("n_off"))
 
 
+@query(q(EVENTS, select="SELECT txn_id, amount, channel FROM txn WHERE amount BETWEEN 100000 AND 3000000 AND channel IN ('purchase', 'view') AND channel LIKE '%e%' AND regexp_matches(channel, '^[pv]') AND channel IS NOT DISTINCT FROM channel AND us >= 1704672000000000 AND us < 1705276800000000"))
+def predicates(spark, d):
+    """Half-open dates, ranges, lists, patterns, null-safe equality."""
+    t = _us(_e(spark, d))
+    c = F.col("channel")
+    return t.where(F.col("amount").between(100000, 3000000) & c.isin("purchase", "view") & c.like("%e%") & c.rlike("^[pv]") & c.eqNullSafe(c) & (F.col("us") >= 1704672000000000) & (F.col("us") < 1705276800000000)).select("txn_id", "amount", "channel")
+
+
+@query(q(EVENTS, ACCT, select="SELECT acct.acct, count(txn_id) AS n FROM txn RIGHT JOIN acct ON payer = acct.acct WHERE acct.kind = 'customer' GROUP BY acct.acct"))
+def silent_accounts(spark, d):
+    """Right outer join - customers with their number of payments, none included."""
+    a = ledger.accounts(spark, d).where("kind = 'customer'")
+    return _e(spark, d).join(a, F.col("payer") == F.col("acct"), "right").groupBy("acct").agg(F.count("txn_id").alias("n"))
+
+
+_BATCHES = " UNION ALL ".join(f"SELECT {b} AS batch, (SELECT count(*) FROM txn WHERE us // {DAY} - 19723 >= {10 * b} AND us // {DAY} - 19723 < {10 * b + 10}) AS n_txn, (SELECT count(*) FROM tedge WHERE greatest(us, ud) // {DAY} - 19723 >= {10 * b} AND greatest(us, ud) // {DAY} - 19723 < {10 * b + 10}) AS n_new_edges" for b in range(3))
+
+
+@query(q(*E1D, select=_BATCHES))
+def batch_growth(spark, d):
+    """Batches of ten days appended in order."""
+    return experiments.batches(_e(spark, d), 10, timedelta(days=1))
+
+
+@query(q(*E1D, SEDGE, WTS, "w6 AS (SELECT t.w FROM wts t JOIN tedge USING (a, b, c))", select="SELECT 24.0::DOUBLE AS delta_hours, CAST(th AS DOUBLE) AS min_weight, (SELECT count(*) FROM w6 WHERE w >= th) AS n_edge FROM (VALUES (0.3), (0.5), (1.0)) v(th)"))
+def theta_sweep(spark, d):
+    return experiments.sweep(_e(spark, d), (timedelta(days=1),), (0.3, 0.5, 1.0))
+
+
 # ---- streaming (T1-T9) --------------------------------------------------------------------------------
 
 def _event_files(spark, d):
