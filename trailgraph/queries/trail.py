@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from contextlib import contextmanager
 from datetime import date, timedelta
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -177,10 +178,7 @@ def tedges_append(spark, d):
 @query(q(*E1D, select=f"SELECT {T_COLS} FROM tedge"))
 def tedges_stream(spark, d):
     src = _event_files(spark, d)
-    out, mark = scratch_path(spark, "stream-edges"), scratch_path(spark, "stream-mark")
-    st = streams.temporal_edges(streams.events(spark, src), timedelta(days=1), "40 days")
-    streams.drain(st, out, mark)
-    return _flat(spark.read.parquet(out))
+    return _flat(_drained(spark, streams.temporal_edges(streams.events(spark, src), timedelta(days=1), "40 days")))
 
 
 @query(q(*E1D, select=f"SELECT {T_COLS} FROM tedge"))
@@ -998,9 +996,21 @@ def _event_files(spark, d):
     return _memo[key]
 
 
+@contextmanager
+def _state_width(spark):
+    """State stores for the cores there are: a stream's state isn't coalesced as batch shuffles are."""
+    was = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", str(min(int(was), 2 * spark.sparkContext.defaultParallelism)))
+    try:
+        yield
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", was)
+
+
 def _drained(spark, stream, mode="append"):
     out, mark = scratch_path(spark, "drained"), scratch_path(spark, "mark")
-    streams.drain(stream, out, mark, mode)
+    with _state_width(spark):
+        streams.drain(stream, out, mark, mode)
     return spark.read.schema(stream.schema).parquet(out)
 
 
@@ -1011,7 +1021,8 @@ def _final(spark, stream, key: list[str]):
     def add(batch, batch_id):
         batch.withColumn("batch", F.lit(batch_id)).write.mode("append").parquet(out)
 
-    stream.writeStream.foreachBatch(add).option("checkpointLocation", mark).outputMode("update").trigger(availableNow=True).start().awaitTermination()
+    with _state_width(spark):
+        stream.writeStream.foreachBatch(add).option("checkpointLocation", mark).outputMode("update").trigger(availableNow=True).start().awaitTermination()
     w = Window.partitionBy(*key).orderBy(F.desc("batch"))
     return spark.read.parquet(out).withColumn("__r", F.row_number().over(w)).where("__r = 1").drop("__r", "batch")
 
@@ -1063,7 +1074,8 @@ def stream_pair_counts(spark, d):
     """Additive pair counts from micro-batches."""
     path, mark = scratch_path(spark, "stream-pairs"), scratch_path(spark, "mark")
     st = streams.temporal_edges(streams.events(spark, _event_files(spark, d), 1), timedelta(days=1), "40 days")
-    streams.pair_counts(st, path, mark).awaitTermination()
+    with _state_width(spark):
+        streams.pair_counts(st, path, mark).awaitTermination()
     return store.read_pairs(spark, path)
 
 
