@@ -72,14 +72,16 @@ def daily(txn: DataFrame, delta_w: timedelta, path: str | None = None) -> DataFr
     """One destination day at a time, each appended to a date-partitioned store; restartable by day."""
     spark = txn.sparkSession
     path = path or scratch_path(spark, "daily-edges")
-    t = txn.withColumn("__day", day(micros()))
-    lo, hi = t.agg(F.min("__day"), F.max("__day")).first()
+    lo, hi = txn.agg(F.min(day(micros())), F.max(day(micros()))).first()
     if lo is None:
         return bucketed(txn, txn, delta_w)
+    stored = scratch_path(spark, "daily-ledger")
+    txn.withColumn("__day", day(micros())).hint("rebalance", "__day").write.partitionBy("__day").parquet(stored)  # so that a step reads its days only
+    t = spark.read.schema(txn.select("*", day(micros()).alias("__day")).schema).parquet(stored)
     back = timedelta(days=-(-_us(delta_w) // DAY))
     while lo <= hi:
         near = t.where(F.col("__day").between(F.lit(lo - back), F.lit(lo)))
-        bucketed(near, t.where(F.col("__day") == F.lit(lo)), delta_w).write.mode("append").partitionBy("src_date", "dst_date").parquet(path)
+        bucketed(near, t.where(F.col("__day") == F.lit(lo)), delta_w).hint("rebalance", "src_date", "dst_date").write.mode("append").partitionBy("src_date", "dst_date").parquet(path)
         lo += timedelta(days=1)
     schema = bucketed(txn, txn, delta_w).schema
     return spark.read.schema(schema).parquet(path).select(EDGE)

@@ -12,14 +12,13 @@ TXN_SCHEMA = "txn_id long, ts timestamp, payer long, payee long, amount long, ch
 PAIR_SCHEMA = "a long, b long, c long, n long, batch_id long"
 
 
-def write_edges(edges: DataFrame, path: str, batch_id: int = 0, files_per_day: int = 1) -> None:
+def write_edges(edges: DataFrame, path: str, batch_id: int = 0) -> None:
     """Edges of one batch under ``src_date``/``dst_date``/``batch_id``; writing a batch again replaces it.
 
     Rows are sorted by the shared account and time, so that row groups can be skipped by account.
     """
     x = edges.withColumn("batch_id", F.lit(batch_id).cast("long"))
-    deal = [F.col("src_date"), F.col("dst_date")] + ([F.pmod(F.xxhash64("b"), F.lit(files_per_day))] if files_per_day > 1 else [])
-    x = x.repartition(*deal).sortWithinPartitions("src_date", "dst_date", "b", "t_src")
+    x = x.hint("rebalance", "src_date", "dst_date").sortWithinPartitions("src_date", "dst_date", "b", "t_src")  # large days are split, small ones share a task
     x.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("src_date", "dst_date", "batch_id").parquet(path)
 
 
@@ -43,7 +42,7 @@ def write_txn(txn: DataFrame, path: str) -> None:
     """Payments by day."""
     from trailgraph.sources.ledger import day, micros
 
-    txn.withColumn("date", day(micros())).repartition("date").sortWithinPartitions("payee", "ts").write.mode("append").partitionBy("date").parquet(path)
+    txn.withColumn("date", day(micros())).hint("rebalance", "date").sortWithinPartitions("date", "payee", "ts").write.mode("append").partitionBy("date").parquet(path)
 
 
 def read_txn(spark: SparkSession, path: str) -> DataFrame:
