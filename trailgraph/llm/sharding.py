@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from trailgraph.functions.runtime import fresh, materialize
 
 HASH_BITS = 60  # 15 hexadecimal digits of md5, a positive long
-PARTS = 64  # parts of an overflowing key whose page offsets are summed apart
+PARTS = 64  # parts, at least, of an overflowing key whose page offsets are summed apart
 
 
 def hash_bits(key: Column) -> Column:
@@ -85,20 +85,22 @@ def assign(docs: DataFrame, limit: int, id_col: str = "doc_id", text_col: str =
     if dirs.where(F.col("shard_bytes") > limit).isEmpty():
         return placed.select(*out, shard(F.lit(0).cast("long"), F.col(x)["shard_bytes"]))
     fits = placed.where(F.col(x)["shard_bytes"] <= limit).select(*out, shard(F.lit(0).cast("long"), F.col(x)["shard_bytes"]))
-    return fits.unionByName(_paged(placed.where(F.col(x)["shard_bytes"] > limit), limit, p, n, id_col, out, shard))
+    return fits.unionByName(_paged(placed.where(F.col(x)["shard_bytes"] > limit), limit, max(PARTS, total // limit + 1), p, n, id_col, out, shard))
 
 
-def _paged(rows: DataFrame, limit: int, p: str, n: str, id_col: str, out: list, shard) -> DataFrame:
+def _paged(rows: DataFrame, limit: int, parts: int, p: str, n: str, id_col: str, out: list, shard) -> DataFrame:
     """Overflow pages: running bytes within a part, parts of one key shifted past each other, pages filled in that order.
 
+    ``parts`` grows with the bytes, so that a key with most of them is about one limit a part. Rows that
+    tie have the same bytes, so a task that is run again gives pages of the same sizes.
     A page starts at a multiple of the limit less the largest row, so none passes the limit unless one row does.
     """
     part, seq = fresh(rows, "__part"), fresh(rows, "__seq")
-    rows, _ = materialize(rows.withColumn(part, F.floor(F.rand() * PARTS)), "pages")  # written once, so that the random parts stay
+    rows, _ = materialize(rows.withColumn(part, F.floor(F.rand() * parts)), "pages")  # written once, so that the random parts stay
     sums = rows.groupBy(p, part).agg(F.sum(n).alias("s"), F.max(n).alias("most"))
     w = Window.partitionBy(p)
     sums = sums.select(p, part, (F.sum("s").over(w.orderBy(part)) - F.col("s")).alias("before"), F.max("most").over(w).alias("most"))
-    inner = Window.partitionBy(p, part).orderBy(F.col(f"`{id_col}`")).rowsBetween(Window.unboundedPreceding, -1)
+    inner = Window.partitionBy(p, part).orderBy(F.col(f"`{id_col}`"), n).rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn(seq, F.coalesce(F.sum(n).over(inner), F.lit(0)))
     joined = rows.join(sums, [p, part])
     step = F.greatest(F.lit(1).cast("long"), F.lit(limit) - F.col("most") + 1)
