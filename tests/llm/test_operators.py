@@ -284,6 +284,13 @@ def test_simhash_odd_rows(docs):
     assert sorted((r.doc_id for r in kept.collect()), key=str) == [1, 4, 6, 8, 9, None]
 
 
+def test_survivors_by_row(docs):
+    texts = ["one text about the sea and its many ships", "another of mountains snow and early winter mornings", "a third on bread salt and ovens of clay"]
+    rows = [(None, t) for t in texts] + [(None, texts[0]), (5, texts[1]), (7, "quite other words stand under number seven here"), (7, "and again some different ones with the same number")]
+    kept = simhash.deduplicated(docs(rows, extra=True))
+    assert sorted(((r.doc_id, r.text) for r in kept.collect()), key=str) == sorted([(None, texts[0]), (5, texts[1]), (None, texts[2]), *rows[-2:]], key=str)
+
+
 # ---- 6 ----
 
 def test_rules_and_aliases(spark):

@@ -62,16 +62,22 @@ def _majority(hashes: np.ndarray) -> int:
     return int(np.packbits(2 * ones > n, bitorder="little").view(np.uint64)[0])
 
 
+def row_keys(text: Column) -> list[Column]:
+    """Two independent 64-bit hashes of a text (k1, k2), which with the doc_id name a row."""
+    return [F.xxhash64(text).alias("k1"), F.xxhash64(F.lit(1), text).alias("k2")]
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp bigint) of every row."""
-    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"))
+    """(doc_id, k1, k2, fp bigint) of every row."""
+    text = F.col(f"`{text_col}`").cast("string")
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), *row_keys(text), text.alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out = [fingerprint(c.text(i)) for c in chunks(b.column(1)) for i in range(c.n)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(out, np.uint64).view(np.int64))], names=["doc_id", "fp"])
+            out = [fingerprint(c.text(i)) for c in chunks(b.column(3)) for i in range(c.n)]
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(np.array(out, np.uint64).view(np.int64))], names=["doc_id", "k1", "k2", "fp"])
 
-    return rows.mapInArrow(run, "doc_id long, fp long")
+    return rows.mapInArrow(run, "doc_id long, k1 long, k2 long, fp long")
 
 
 def bit_statistics(fps: DataFrame) -> tuple[int, np.ndarray]:
@@ -184,6 +190,15 @@ def links(fps: DataFrame, bound: int = BOUND, hot: int = HOT) -> DataFrame:
     return near.union(met).distinct()
 
 
+def _labelled(docs: DataFrame, id_col: str, text_col: str, hot: int) -> DataFrame:
+    """doc_id, k1, k2, fp, c (least fingerprint reachable) of every row."""
+    marked, _ = materialize(fingerprints(docs, id_col, text_col), "fps")
+    reps = marked.select("fp").distinct()
+    labels = wcc(links(reps, hot=hot))
+    by_fp = reps.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("component", "fp").alias("c"))
+    return marked.join(by_fp, "fp").select("doc_id", "k1", "k2", "fp", "c")
+
+
 def components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> DataFrame:
     """doc_id, fp, component_id (least doc_id reachable) of every row."""
     marked, _ = materialize(fingerprints(docs, id_col, text_col), "fps")
@@ -194,16 +209,27 @@ def components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     return marked.join(by_fp.join(roots, "c").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
-def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stay: of each component the one with the least doc_id, once."""
-    k = fresh(docs, "__id")
-    found = components(docs, id_col, text_col)
-    keep = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy(F.col("doc_id").alias(k)).agg(F.count("*").alias(c := fresh(docs, "__copies")))
-    keep, _ = materialize(keep, "keep")
+def one_of_each(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that stay, given (doc_id, k1, k2, c) of every row: the least (doc_id, nulls last; text hashes) of each c.
+
+    Rows are told apart by id and text, so neither null ids nor ids that several texts share lose a component.
+    """
+    i, a, b, c = (fresh(docs, x) for x in ("__id", "__k1", "__k2", "__copies"))
+    rows = labelled.groupBy("c", "doc_id", "k1", "k2").agg(F.count("*").alias("n"))
+    best = rows.groupBy("c").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "k1", "k2", "n")).alias("x"))
+    keep, _ = materialize(best.select(F.col("x.doc_id").alias(i), F.col("x.k1").alias(a), F.col("x.k2").alias(b), F.col("x.n").alias(c)), "keep")
     names = [F.col(f"`{x}`") for x in docs.columns]
-    out = docs.join(keep.hint("merge"), F.col(f"`{id_col}`").eqNullSafe(F.col(k)))  # the same way at every size: ids grow with the documents
+    k1, k2 = row_keys(F.col(f"`{text_col}`").cast("string"))
+    mine = docs.select(*names, k1.alias(k := fresh(docs, "__t1")), k2.alias(m := fresh(docs, "__t2")))
+    same = (F.col(k) == F.col(a)) & (F.col(m) == F.col(b)) & F.col(f"`{id_col}`").cast("long").eqNullSafe(F.col(i))
+    out = mine.join(keep.hint("merge"), same)  # the same way at every size: ids grow with the documents
     if keep.where(F.col(c) > 1).isEmpty():
         return out.select(*names)
     once = out.where(F.col(c) == 1).select(*names)
-    again = out.where(F.col(c) > 1).select(*names).dropDuplicates([id_col])
+    again = out.where(F.col(c) > 1).dropDuplicates([i, a, b]).select(*names)
     return once.unionByName(again)
+
+
+def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that stay: one of each component, that with the least doc_id."""
+    return one_of_each(docs, _labelled(docs, id_col, text_col, HOT), id_col, text_col)
