@@ -14,7 +14,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from tests.llm.conftest import ODD
-from trailgraph.llm import decontamination, idcoder, line_dedup, mixing, quality, sharding, simhash, substring, token_counts, token_output, url_filter
+from trailgraph.llm import decontamination, idcoder, line_dedup, mixing, near_text, quality, sharding, simhash, substring, token_counts, token_output, url_filter
 
 PIECES, WORDS = public_tokenizers.path("piece_bpe_32k.model"), public_tokenizers.path("word_bpe_49k.json")
 SPLIT = re.compile("[^\x20\x09-\x0d]+")
@@ -291,6 +291,44 @@ def test_survivors_by_row(docs):
     assert sorted(((r.doc_id, r.text) for r in kept.collect()), key=str) == sorted([(None, texts[0]), (5, texts[1]), (None, texts[2]), *rows[-2:]], key=str)
 
 
+def _five(t):
+    w = split(low(t))
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+@pytest.mark.parametrize("block", [2, 64])
+def test_near_texts_at_four_fifths(docs, block):
+    r = random.Random(block)
+    words = lambda n: [f"w{r.randrange(10**6)}" for _ in range(n)]
+    passage, rows = words(60), []
+    for _ in range(8):  # a text and its edits, in chains, and texts of other words around one passage
+        base = words(r.choice([40, 100, 200]))
+        for _ in range(6):
+            rows.append(" ".join(base))
+            base = list(base)
+            for _ in range(r.choice([1, 1, 2, 4])):
+                base[r.randrange(len(base))] = "EDIT"
+        rows.append(" ".join(words(r.choice([8, 20, 90])) + passage))
+    rows += ["a b", "A  b", "a c", "", None]
+    sets = [_five(t) for t in rows]
+    par = list(range(len(rows)))
+    for i in range(len(rows)):
+        for j in range(i):
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
+                a, b = par[i], par[j]
+                par = [min(a, b) if x in (a, b) else x for x in par]
+    d = docs(rows).selectExpr("doc_id", "xxhash64(text) AS k1", "xxhash64(1, text) AS k2", "text")
+    got = collections.defaultdict(set)
+    for x in near_text.labelled(d, block=block).collect():
+        got[x.c].add(x.doc_id)
+    want = collections.defaultdict(set)
+    for i, x in enumerate(par):
+        want[x].add(i)
+    assert sorted(map(sorted, got.values())) == sorted(map(sorted, want.values()))
+    if block == 64:
+        assert {x.doc_id for x in simhash.deduplicated(docs(rows)).collect()} == set(want)
+
+
 # ---- 6 ----
 
 def test_rules_and_aliases(spark):

@@ -32,6 +32,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from trailgraph.functions.runtime import fresh, materialize
+from trailgraph.llm import near_text
 from trailgraph.llm.textarrays import chunks
 from trailgraph.operators.components import wcc
 
@@ -190,15 +191,6 @@ def links(fps: DataFrame, bound: int = BOUND, hot: int = HOT) -> DataFrame:
     return near.union(met).distinct()
 
 
-def _labelled(docs: DataFrame, id_col: str, text_col: str, hot: int) -> DataFrame:
-    """doc_id, k1, k2, fp, c (least fingerprint reachable) of every row."""
-    marked, _ = materialize(fingerprints(docs, id_col, text_col), "fps")
-    reps = marked.select("fp").distinct()
-    labels = wcc(links(reps, hot=hot))
-    by_fp = reps.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("component", "fp").alias("c"))
-    return marked.join(by_fp, "fp").select("doc_id", "k1", "k2", "fp", "c")
-
-
 def components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> DataFrame:
     """doc_id, fp, component_id (least doc_id reachable) of every row."""
     marked, _ = materialize(fingerprints(docs, id_col, text_col), "fps")
@@ -231,5 +223,7 @@ def one_of_each(docs: DataFrame, labelled: DataFrame, id_col: str = "doc_id", te
 
 
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stay: one of each component, that with the least doc_id."""
-    return one_of_each(docs, _labelled(docs, id_col, text_col, HOT), id_col, text_col)
+    """The rows of ``docs`` that stay: one of each component of near-equal texts (``near_text``), that with the least doc_id."""
+    text = F.col(f"`{text_col}`").cast("string")
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), *row_keys(text), text.alias("text"))
+    return one_of_each(docs, near_text.labelled(rows), id_col, text_col)
