@@ -172,6 +172,14 @@ def test_scores(spark):
     assert [r.id for r in anomaly.iqr(x, "id", "x").where("outlier").collect()] == [99]
 
 
+def test_recurring_accounts_of_large_flows(spark):
+    t = spark.createDataFrame([(w * 100 + i, f"a{i}", f"a{i + 1}") for w in range(2) for i in range(29)], "txn_id long, payer string, payee string")
+    m = t.selectExpr("CAST(txn_id DIV 100 AS BIGINT) AS window_start", "1L AS comm_id", "txn_id")
+    got = sorted(map(tuple, community.recurring_accounts(m, t, 2, max_pairs_flow=7).collect()))
+    names = sorted(f"a{i}" for i in range(30))
+    assert got == [(a, b, 2) for i, a in enumerate(names) for b in names[i + 1 :]]
+
+
 def test_recurring_and_linearity(spark):
     m = spark.createDataFrame([(w, 1, w * 10 + i) for w in (1, 2) for i in (1, 2)], "window_start long, comm_id long, txn_id long")
     t = spark.createDataFrame([(w * 10 + i, 5, 5 + i) for w in (1, 2) for i in (1, 2)], "txn_id long, payer long, payee long")

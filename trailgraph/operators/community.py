@@ -161,14 +161,16 @@ def modularity(edges: DataFrame, member: DataFrame, weight: str = "w", resolutio
 def recurring_accounts(member: DataFrame, txn: DataFrame, r: int = 2, max_pairs_flow: int = 200) -> DataFrame:
     """(acct, acct2, n_windows) of accounts that share a flow in r windows or more.
 
-    Pairs are counted inside flows of up to ``max_pairs_flow`` accounts; larger ones must be cut by
-    ``max_comm_size`` before (ValueError).
+    The accounts of a flow are dealt to blocks of about ``max_pairs_flow``; pairs of blocks are the join keys, so a flow of any
+    size gives all its pairs and none is one task's.
     """
     acc = member.join(txn, "txn_id").select("window_start", "comm_id", F.explode(F.array("payer", "payee")).alias("acct")).distinct()
-    if not acc.groupBy("window_start", "comm_id").agg(F.count("*").alias("n")).where(F.col("n") > max_pairs_flow).isEmpty():
-        raise ValueError(f"a flow has more than {max_pairs_flow} accounts; detect with max_comm_size")
-    other = acc.select("window_start", "comm_id", F.col("acct").alias("acct2"))
-    pairs = acc.join(other, ["window_start", "comm_id"]).where("acct < acct2").groupBy("acct", "acct2").agg(F.countDistinct("window_start").alias("n_windows")).where(F.col("n_windows") >= r)
+    sizes = acc.groupBy("window_start", "comm_id").agg(F.ceil(F.count("*") / max_pairs_flow).alias("k"))
+    dealt = acc.join(sizes, ["window_start", "comm_id"]).withColumn("i", F.pmod(F.xxhash64("acct"), F.col("k"))).withColumn("j", F.explode(F.expr("sequence(0L, k - 1)")))
+    cells = dealt.select("window_start", "comm_id", F.least("i", "j").alias("u"), F.greatest("i", "j").alias("v"), "i", "acct")
+    other = cells.select("window_start", "comm_id", "u", "v", F.col("i").alias("i2"), F.col("acct").alias("acct2"))
+    met = cells.join(other, ["window_start", "comm_id", "u", "v"]).where("acct < acct2 and (u = v or i <> i2)")
+    pairs = met.groupBy("acct", "acct2").agg(F.countDistinct("window_start").alias("n_windows")).where(F.col("n_windows") >= r)
     return pairs
 
 
