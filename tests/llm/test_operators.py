@@ -464,6 +464,19 @@ def test_divergence_catches_junk_and_keeps_text(docs):
     assert all(got[i] for i in range(80)) and not got[80] and got[81]
 
 
+def test_every_language_has_a_reference(docs):
+    """More languages than any fixed number are each held against themselves, by broadcast or by merge."""
+    d = docs([(i, f"word{i} " * 60 + "tail", f"l{i % 1100}", "s") for i in range(2200)])
+    refs = {r.lang: r for r in quality.references(d).collect()}
+    assert len(refs) == 1101 and all(r.common for lang, r in refs.items() if lang)
+    few = by_id(quality.with_verdict(d, name="q").select("doc_id", "q.*"), "doc_id", "class_distance", "word_distance", "kept")
+    before, quality.BROADCAST_LANGUAGES = quality.BROADCAST_LANGUAGES, 10
+    try:
+        assert by_id(quality.with_verdict(d, name="q").select("doc_id", "q.*"), "doc_id", "class_distance", "word_distance", "kept") == few
+    finally:
+        quality.BROADCAST_LANGUAGES = before
+
+
 def test_quality_odd_rows(docs):
     d = docs([*ODD, (20, "null language here " * 30, None, None)], extra=True)
     assert quality.kept_documents(d).columns == d.columns

@@ -6,8 +6,8 @@ language by Jensen-Shannon distance (base 2, 0 to 1). Each test has a least leng
 keeps its hands off. A document fails if a base rule fails it or a distance is above its bound.
 
 References come from all documents: one aggregate for classes, one word count whose top ``TOP`` per
-language make the common words. They are broadcast: at most ``MAX_LANGUAGES`` rows of fixed size;
-rarer languages, and null, are held against the pooled classes only.
+language make the common words. A row of fixed size per language is broadcast, or joined by sort and merge
+where there are more than ``BROADCAST_LANGUAGES``. Null is held against the pooled classes only.
 
 Defined cases: a null text has no words and fails the base rules; empty likewise; a text of any length
 is used whole; repeated rows are judged alike; an empty table gives no rows.
@@ -25,8 +25,10 @@ WORD = r"[^\x20\x09-\x0D]+"
 SYMBOLS = r"[#*$%&|<>]"
 #: Sparse classes, counted by pattern; what is left of a text are the lower-case ASCII letters and other ASCII signs.
 CLASSES = (r"[A-Z]", r"[0-9]", SPACE, r"[.,;:!?'\x22()\-]", SYMBOLS, r"[^\x00-\x7F]")
+BLANKS, SIGNS = 2, 4  # places in CLASSES
+REMOVAL = (2, 0, 1, 3, 4, 5)
 TOP = 16
-MAX_LANGUAGES = 1000
+BROADCAST_LANGUAGES = 100_000
 LEAST_CHARS, LEAST_WORDS = 200, 50
 #: Set on labelled rows: on two tables no document labelled good came over 0.31 and 0.39, and 19 of 20 labelled bad passed one of these.
 CLASS_BOUND, WORD_BOUND = 0.33, 0.42
@@ -41,12 +43,20 @@ def _hashes(text: Column) -> Column:
 
 
 def class_counts(text: Column) -> Column:
-    """array<bigint>: the sparse classes in order, then the rest."""
+    """array<int>: the sparse classes in order, then the rest.
+
+    The lower-case letters and then class after class are taken out of the text, so that only the first step reads all of it.
+    """
     t = F.coalesce(text, F.lit(""))
-    return let(
-        F.array(F.length(t).cast("long"), *[F.regexp_count(t, F.lit(p)).cast("long") for p in CLASSES]),
-        lambda a: F.concat(F.slice(a, 2, len(CLASSES)), F.array(a[0] - F.aggregate(F.slice(a, 2, len(CLASSES)), F.lit(0).cast("long"), lambda s, x: s + x))),
-    )
+
+    def take(left: Column, todo: tuple[int, ...], found: dict[int, Column]) -> Column:
+        if not todo:
+            sparse = [found[k] for k in range(len(CLASSES))]
+            return F.array(*sparse, F.length(t) - sum(sparse[1:], sparse[0]))
+        k, *more = todo
+        return let(F.regexp_replace(left, CLASSES[k] + "+", ""), lambda after: take(after, tuple(more), found | {k: F.length(left) - F.length(after)}))
+
+    return let(F.regexp_replace(t, "[a-z]+", ""), lambda left: take(left, REMOVAL, {}))
 
 
 def repeated_window_words(h: Column, size: int = 5) -> Column:
@@ -54,10 +64,10 @@ def repeated_window_words(h: Column, size: int = 5) -> Column:
     grams = F.when(F.size(h) >= size, F.transform(F.sequence(F.lit(0), F.size(h) - size), lambda i: F.xxhash64(*[F.get(h, i + k) for k in range(size)])))
 
     def covered(g: Column) -> Column:
-        pairs = F.array_sort(F.transform(g, lambda x, i: F.struct(x.alias("x"), i.alias("i"))))
+        pairs = F.sort_array(F.transform(g, lambda x, i: F.struct(x.alias("x"), i.alias("i"))))
         spots = let(
             pairs,
-            lambda s: F.array_sort(
+            lambda s: F.sort_array(
                 F.transform(
                     F.filter(F.transform(s, lambda e, k: F.struct(e["i"].alias("i"), ((F.get(s, k - 1)["x"] == e["x"]) | (F.get(s, k + 1)["x"] == e["x"])).alias("twice"))), lambda e: F.coalesce(e["twice"], F.lit(False))),
                     lambda e: e["i"],
@@ -69,14 +79,10 @@ def repeated_window_words(h: Column, size: int = 5) -> Column:
     return F.coalesce(let(grams, lambda g: F.when(F.size(F.array_distinct(g)) == F.size(g), F.lit(0)).otherwise(covered(g))), F.lit(0)).cast("long")
 
 
-def base_counts(text: Column) -> list[Column]:
-    t = F.coalesce(text, F.lit(""))
-    lines = let(F.filter(F.split(t, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")), lambda x: F.size(x) - F.size(F.array_distinct(x)))
-    return [
-        (F.length(t) - F.regexp_count(t, F.lit(SPACE))).cast("long").alias("word_chars"),
-        F.regexp_count(t, F.lit(SYMBOLS)).cast("long").alias("n_symbols"),
-        lines.cast("long").alias("n_dup_lines"),
-    ]
+def repeated_lines(text: Column) -> Column:
+    """Lines with a word that are equal to an earlier one."""
+    lines = F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+    return let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long")
 
 
 def jensen_shannon(p: Column, q: Column) -> Column:
@@ -101,44 +107,64 @@ def references(docs: DataFrame, text_col: str = "text", lang_col: str = "lang",
     """
     rows = docs.select(F.col(f"`{lang_col}`").alias("lang"), F.col(f"`{text_col}`").alias("t"))
     n = len(CLASSES) + 1
-    per = rows.select("lang", class_counts(F.col("t")).alias("c")).groupBy("lang").agg(F.array(*[F.sum(F.col("c")[k]) for k in range(n)]).alias("classes"), F.sum(F.aggregate("c", F.lit(0).cast("long"), lambda a, x: a + x)).alias("chars"))
+    per = rows.select("lang", class_counts(F.col("t")).alias("c")).groupBy("lang").agg(F.array(*[F.sum(F.col("c")[k]) for k in range(n)]).alias("classes"))
     per, _ = materialize(per, "classes")  # a row per language, read twice
-    counts = rows.where("lang is not null").select("lang", F.explode(_hashes(F.col("t"))).alias("h")).groupBy("lang", "h").agg(F.count("*").alias("n"))
+    counts = rows.where("lang is not null").select("lang", F.explode(F.split(F.coalesce("t", F.lit("")), SPACE + "+")).alias("word")).where("word <> ''").select("lang", F.xxhash64("word").alias("h")).groupBy("lang", "h").agg(F.count("*").alias("n"))
     rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "h"))
     best = counts.withColumn("r", rank).where(F.col("r") <= top)
     total = counts.groupBy("lang").agg(F.sum("n").alias("all"))
     common = best.groupBy("lang").agg(F.array_sort(F.collect_list(F.struct("h", "n"))).alias("x")).join(total, "lang")
     common = common.select("lang", F.transform("x", lambda e: e["h"]).alias("common"), F.concat(F.transform("x", lambda e: e["n"]), F.array(F.col("all") - F.aggregate("x", F.lit(0).cast("long"), lambda a, e: a + e["n"]))).alias("counts"))
-    known = per.where("lang is not null").orderBy(F.desc("chars"), "lang").limit(MAX_LANGUAGES)
+    known = per.where("lang is not null")
     pooled = per.agg(F.array(*[F.coalesce(F.sum(F.col("classes")[k]), F.lit(0)) for k in range(n)]).alias("classes"))
     none = F.lit(None).cast("array<bigint>")
     return known.join(common, "lang", "left").select("lang", "classes", "common", "counts").unionByName(pooled.select(F.lit(None).cast("string").alias("lang"), "classes", none.alias("common"), none.alias("counts")))
 
 
+def _holds(mask: Column, w: Column) -> Column:
+    """Whether the 64-bit mask has the bit of a word hash: a cheap no for most words that aren't common."""
+    return F.call_function("shiftright", mask, w.bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1)) != 0
+
+
 def with_verdict(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", name: str = "__quality", class_bound: float = CLASS_BOUND, word_bound: float = WORD_BOUND) -> DataFrame:
     """The rows and columns of ``docs`` with the struct column ``name`` added: counts, distances, base_failed, kept."""
-    refs = references(docs, text_col, lang_col)
-    pooled = refs.where("lang is null").select(F.col("classes").alias(pc := fresh(docs, "__pooled")))
-    ref = refs.where("lang is not null").select(F.struct(*refs.columns).alias(rc := fresh(docs, "__ref")))
-    x = docs.join(F.broadcast(ref), F.col(f"`{lang_col}`") == F.col(rc)["lang"], "left").join(F.broadcast(pooled))
+    refs, _ = materialize(references(docs, text_col, lang_col), "language-references")
+    pooled = refs.where("lang is null").first()["classes"]  # one number a class
+    bit = lambda a, h: a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), h.bitwiseAND(F.lit(63)).cast("int")))
+    ref = refs.where("lang is not null").withColumn("mask", F.aggregate("common", F.lit(0).cast("long"), bit))
+    ref = ref.select(F.struct(*ref.columns).alias(rc := fresh(docs, "__ref")))
+    few = ref.count() <= BROADCAST_LANGUAGES
+    x = docs.join(F.broadcast(ref) if few else ref.hint("merge"), F.col(f"`{lang_col}`") == F.col(rc)["lang"], "left")
     t, r = F.col(f"`{text_col}`"), F.col(rc)
 
     def by_words(h: Column) -> Column:
-        hits = F.filter(h, lambda w: F.array_contains(r["common"], w))
-        seen = let(hits, lambda z: F.transform(F.concat(r["common"], F.array(F.lit(None).cast("bigint"))), lambda c: F.when(c.isNull(), F.size(h) - F.size(z)).otherwise(F.size(z) - F.size(F.array_remove(z, c)))))
+        hits = F.filter(h, lambda w: _holds(r["mask"], w) & F.array_contains(r["common"], w))
+        seen = let(hits, lambda z: F.concat(F.transform(r["common"], lambda c: F.size(z) - F.size(F.array_remove(z, c))), F.array(F.size(h) - F.size(z))))
         return F.struct(
-            F.size(h).cast("long").alias("n_words"), repeated_window_words(h).alias("n_repeat_words"),
+            F.size(h).cast("long").alias("n_words"),
+            repeated_window_words(h).alias("n_repeat_words"),
             F.when((F.size(h) >= LEAST_WORDS) & r["common"].isNotNull(), jensen_shannon(seen, r["counts"])).otherwise(F.lit(0.0)).alias("word_distance"),
         )
 
-    far = F.when(F.length(t) >= LEAST_CHARS, jensen_shannon(class_counts(t), F.coalesce(r["classes"], F.col(pc)))).otherwise(F.lit(0.0))
-    facts = let(_hashes(t), by_words)
-    x = x.withColumn(name, F.struct(*base_counts(t), facts.alias("w"), far.alias("class_distance")))
-    q = F.col(name)
-    failed = (q["w"]["n_words"] < 10) | (100 * q["w"]["n_repeat_words"] > 20 * q["w"]["n_words"])
-    kept = ~failed & (q["class_distance"] <= class_bound) & (q["w"]["word_distance"] <= word_bound)
-    flat = F.struct(q["w"]["n_words"].alias("n_words"), q["word_chars"].alias("word_chars"), q["n_symbols"].alias("n_symbols"), q["n_dup_lines"].alias("n_dup_lines"), q["w"]["n_repeat_words"].alias("n_repeat_words"), failed.alias("base_failed"), kept.alias("kept"), q["class_distance"].alias("class_distance"), q["w"]["word_distance"].alias("word_distance"))
-    return x.withColumn(name, flat).drop(rc, pc)
+    def by_classes(c: Column) -> Column:
+        expected = F.coalesce(r["classes"], F.array(*[F.lit(n).cast("long") for n in pooled]))
+        return F.struct(
+            (F.coalesce(F.length(t), F.lit(0)) - c[BLANKS]).cast("long").alias("word_chars"),
+            c[SIGNS].cast("long").alias("n_symbols"),
+            F.when(F.length(t) >= LEAST_CHARS, jensen_shannon(c, expected)).otherwise(F.lit(0.0)).alias("class_distance"),
+        )
+
+    facts = F.struct(let(_hashes(t), by_words).alias("w"), let(class_counts(t), by_classes).alias("c"), repeated_lines(t).alias("n_dup_lines"))
+    x = x.withColumn(name, facts)
+    w, c = F.col(name)["w"], F.col(name)["c"]
+    failed = (w["n_words"] < 10) | (100 * w["n_repeat_words"] > 20 * w["n_words"])
+    kept = ~failed & (c["class_distance"] <= class_bound) & (w["word_distance"] <= word_bound)
+    flat = F.struct(
+        w["n_words"].alias("n_words"), c["word_chars"].alias("word_chars"), c["n_symbols"].alias("n_symbols"),
+        F.col(name)["n_dup_lines"].alias("n_dup_lines"), w["n_repeat_words"].alias("n_repeat_words"),
+        failed.alias("base_failed"), kept.alias("kept"), c["class_distance"].alias("class_distance"), w["word_distance"].alias("word_distance"),
+    )
+    return x.withColumn(name, flat).drop(rc)
 
 
 def kept_documents(docs: DataFrame, **kw) -> DataFrame:
