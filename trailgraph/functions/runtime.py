@@ -10,9 +10,15 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``; a temporary one only where it is unset."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``.
+
+    Where that is unset a session in one process gets a temporary folder; on a cluster this is an error, as executors
+    would each write to their own disk.
+    """
     where = spark.conf.get("spark.checkpoint.dir", None)
     if not where:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         where = "file://" + tempfile.mkdtemp(prefix="trailgraph-")
         spark.conf.set("spark.checkpoint.dir", where)
     return where.rstrip("/")
@@ -55,6 +61,12 @@ def fresh(df: DataFrame, base: str) -> str:
     return name
 
 
+def row_hashes(df: DataFrame) -> list[Column]:
+    """Two independent 64-bit hashes of a whole row: rows that share both are taken as equal. Maps and variants don't take part."""
+    plain = [F.col(f"`{c}`") for c, t in df.dtypes if not any(x in t for x in ("map<", "variant"))]
+    return [F.xxhash64(F.lit(0), *plain), F.xxhash64(F.lit(1), *plain)]
+
+
 def plan_bytes(df: DataFrame) -> int:
     """Bytes of ``df``: the optimizer's estimate, which for a scan is that of its files, so nothing is read.
 
