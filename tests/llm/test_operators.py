@@ -78,12 +78,35 @@ def test_sharding_pages_of_one_key(docs):
     assert all(r.bytes == 10 * sizes[r.name] for r in got)
 
 
+def test_sharding_is_the_same_again(docs):
+    """Pages follow from the rows, whatever task holds them."""
+    rows = [(7, f"{'x' * (i % 13)}{i % 50}") for i in range(300)] + [(i, "y" * 10) for i in range(40)]
+    a, b = docs(rows), docs(rows[::-1]).repartition(7)
+    pages = lambda d: by_id(sharding.assign(d, 95).select("doc_id", "text", "shard.*"), "doc_id", "text", "name", "bytes")
+    assert pages(a) == pages(b)
+
+
+def test_sharding_goes_deeper_only_where_it_must(spark, docs, monkeypatch):
+    """Rows under the prefixes that are too large, and only they, are counted again."""
+    counted = []
+    real = sharding.directory
+    monkeypatch.setattr(sharding, "directory", lambda hist, limit, depth, above=-1: (counted.append(hist.count()), real(hist, limit, depth, above))[1])
+    d = docs([(7, "x" * 10)] * 500 + [(i, "y" * 10) for i in range(100, 400)])
+    got = sharding.assign(d, 200).select("doc_id", "shard.*").collect()
+    assert len(got) == 800 and all(n <= 4 for n in counted[2:])
+    per = collections.Counter(r.name for r in got)
+    assert all(r.bytes == 10 * per[r.name] <= 200 for r in got)
+
+
 def test_sharding_odd_rows(docs, spark, tmp_path):
     d = docs(ODD, extra=True)
     got = sharding.assign(d, 1 << 20)
     assert got.count() == len(ODD) and len(got.columns) == len(d.columns) + 1
-    sharding.write_shards(docs(ODD), str(tmp_path / "out"), 1 << 20)
+    assert got.columns[-1] == "shard_" and got.select("shard", "shard_.name").count() == len(ODD)
+    sharding.write_shards(docs(ODD, extra=True).withColumnRenamed("a b", "a_b"), str(tmp_path / "out"), 1 << 20)
     assert spark.read.parquet(str(tmp_path / "out")).count() == len(ODD)
+    over = sharding.assign(docs([(7, "x" * 10)] * 30).selectExpr("*", "1 AS __size", "2 AS __page", "3 AS __row"), 95)
+    assert over.count() == 30 and over.select("shard.name").distinct().count() >= 4
     assert sharding.assign(docs(ODD).limit(0), 100).count() == 0
     with pytest.raises(ValueError):
         sharding.assign(d, 0)
@@ -296,11 +319,23 @@ def _five(t):
     return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
 
 
+def _alike(texts):
+    """The least place reachable over pairs at Jaccard 0.8 of five-word shingles."""
+    sets = [_five(t) for t in texts]
+    par = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
+                a, b = par[i], par[j]
+                par = [min(a, b) if x in (a, b) else x for x in par]
+    return par
+
+
 @pytest.mark.parametrize("block", [2, 64])
 def test_near_texts_at_four_fifths(docs, block):
     r = random.Random(block)
     words = lambda n: [f"w{r.randrange(10**6)}" for _ in range(n)]
-    passage, rows = words(60), []
+    passage, template, rows = words(60), words(150), []
     for _ in range(8):  # a text and its edits, in chains, and texts of other words around one passage
         base = words(r.choice([40, 100, 200]))
         for _ in range(6):
@@ -309,14 +344,13 @@ def test_near_texts_at_four_fifths(docs, block):
             for _ in range(r.choice([1, 1, 2, 4])):
                 base[r.randrange(len(base))] = "EDIT"
         rows.append(" ".join(words(r.choice([8, 20, 90])) + passage))
+    for _ in range(40):  # copies of one text, each with edits of its own, some near no other
+        base = list(template)
+        for _ in range(r.choice([1, 3, 5, 7, 9])):
+            base[r.randrange(len(base))] = words(1)[0]
+        rows.append(" ".join(base))
     rows += ["a b", "A  b", "a c", "", None]
-    sets = [_five(t) for t in rows]
-    par = list(range(len(rows)))
-    for i in range(len(rows)):
-        for j in range(i):
-            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
-                a, b = par[i], par[j]
-                par = [min(a, b) if x in (a, b) else x for x in par]
+    par = _alike(rows)
     d = docs(rows).selectExpr("doc_id", "xxhash64(text) AS k1", "xxhash64(1, text) AS k2", "text")
     got = collections.defaultdict(set)
     for x in near_text.labelled(d, block=block).collect():
@@ -349,6 +383,21 @@ def test_rules_and_aliases(spark):
     assert got[13][2:] == (None, "allow") and got[None] == ("com", "/fr/", "com/fr/", "allow")
     assert url_filter.judge(d).count() == len(rows) and url_filter.judge(d.limit(0)).count() == 0
     assert url_filter.allowed(d).columns == d.columns
+    twice = spark.createDataFrame([(1, "http://a.com/de/1", None), (1, "http://a.net/", None), (1, "http://a.net/", None)], "page_id long, url string, html string")
+    assert [r.url for r in url_filter.allowed(twice).collect()] == ["http://a.net/"] * 2
+
+
+def test_many_rules_are_a_table(spark):
+    """Rules that an expression can't hold give the same verdicts by a join."""
+    rules = [("block" if i % 2 else "allow", f"h{i}.com", f"/{'x' * (i % 3)}") for i in range(5000)] + list(url_filter.RULES)
+    r = random.Random(3)
+    urls = [f"http://{r.choice(['', 'a.', 'b.c.'])}h{r.randrange(5200)}.com/{'x' * r.randrange(4)}" for _ in range(200)] + [None, "x", "http://", "http://com/fr/"]
+    d = spark.createDataFrame([(i, u, None) for i, u in enumerate(urls)], "page_id long, url string, html string")
+    got = {r.page_id: r.rule for r in url_filter.judge(d, rules).collect()}
+    for i, u in enumerate(urls):
+        host, _, path = (u or "").partition("://")[2].partition("/")
+        fits = [h + p for _, h, p in rules if (host == h or host.endswith("." + h)) and f"/{path}".startswith(p)] if host else []
+        assert got[i] == max(fits, key=len, default=None), u
 
 
 def test_hot_canonical_target(spark):
@@ -526,6 +575,10 @@ def test_mixed_rows(docs):
     assert m.columns == d.columns
     n = {r.source: r["count"] for r in m.groupBy("source").count().collect()}
     assert n == {"a": 200, "b": 100} or abs(n["a"] - 200) + abs(n["b"] - 100) <= 2
+    one = docs([(1, "w " * 10), (1, "")])  # one id, two texts: nothing is taken of the empty one
+    assert {r.text for r in mixing.mixed_rows(one).collect()} == {"w " * 10}
+    same = mixing.mixed_rows(docs([(1, "w " * 10, "en", "a")] * 6 + [(2, "v " * 10, "en", "b")] * 6))
+    assert sorted(r["count"] for r in same.groupBy("doc_id").count().collect()) in ([6, 12], [5, 12], [6, 11])
     assert mixing.mixed_rows(docs(ODD)).count() > 0 and mixing.mix(docs(ODD).limit(0)).count() == 0
     assert mixing.mix(docs(ODD, extra=True)).count() == len(ODD)
 

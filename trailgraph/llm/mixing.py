@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from trailgraph.functions.runtime import fresh, plan_bytes
+from trailgraph.functions.runtime import fresh, materialize, plan_bytes, row_hashes
 from trailgraph.llm.sharding import HASH_BITS, hash_bits
 
 WORD = r"[^\x20\x09-\x0D]+"
@@ -47,7 +47,11 @@ def targets(sources: DataFrame, share: float = 1.5, max_epochs: float = 2.0, wei
 
 
 def takes(sized: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights: tuple[int, ...] = WEIGHTS, seed: int = 9, rows_each: int = 20_000, bytes_hint: int = 0) -> DataFrame:
-    """sized(doc_id, source, size) -> doc_id, source, size, source_size, target, taken (words, repeats counted)."""
+    """sized(doc_id, source, size) -> doc_id, source, size, source_size, target, taken (words, repeats counted).
+
+    Further columns of ``sized`` are kept at the end and order rows of the same id and size.
+    """
+    more = [c for c in sized.columns if c not in ("doc_id", "source", "size")]
     ranges = max(64, min(1 << 20, bytes_hint // (rows_each * 500)))
     keyed = sized.withColumn("key", hash_bits(F.concat_ws(":", F.lit(seed), F.col("doc_id").cast("string"))))
     keyed = keyed.withColumn("range", F.shiftright(F.shiftright("key", HASH_BITS - 20) * ranges, 20).cast("int"))
@@ -58,18 +62,18 @@ def takes(sized: DataFrame, share: float = 1.5, max_epochs: float = 2.0, weights
     )
     goals = targets(per_range.select("source", "source_size").distinct(), share, max_epochs, weights)
     offsets = per_range.join(goals.select(F.col("source").alias("gs"), "target"), F.col("source").eqNullSafe(F.col("gs"))).select(F.col("source").alias("os"), F.col("range").alias("orange"), "before", "source_size", "target")
-    inner = Window.partitionBy("source", "range").orderBy("key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    inner = Window.partitionBy("source", "range").orderBy("key", "doc_id", "size", *more).rowsBetween(Window.unboundedPreceding, -1)
     run = keyed.withColumn("run", F.coalesce(F.sum("size").over(inner), F.lit(0)))
     x = run.join(offsets, F.col("source").eqNullSafe(F.col("os")) & (F.col("range") == F.col("orange")))
     epochs = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("long")
     rest = F.floor(F.col("target")).cast("long") - epochs * F.col("source_size")
     cut = F.least(F.col("size"), F.greatest(F.lit(0).cast("long"), rest - F.col("before") - F.col("run")))
-    return x.select("doc_id", "source", "size", "source_size", "target", (epochs * F.col("size") + cut).cast("long").alias("taken"))
+    return x.select("doc_id", "source", "size", "source_size", "target", (epochs * F.col("size") + cut).cast("long").alias("taken"), *more)
 
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **kw) -> DataFrame:
     """The budget of every row of ``docs``: doc_id, source, size, source_size, target, taken."""
-    sized = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"))
+    sized = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{source_col}`").alias("source"), word_count(F.col(f"`{text_col}`")).alias("size"))
     return takes(sized, bytes_hint=plan_bytes(docs), **kw)
 
 
@@ -77,11 +81,21 @@ def mixed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """The mix itself, with the columns of ``docs``: a row per epoch that takes it whole or, at the cut, by half or more.
 
     Whole documents only: the cut is moved to the nearer end of the document it falls in, so a
-    source is off its target by half a document at most.
+    source is off its target by half a document at most. Rows are told apart by all their columns, so an id that several
+    texts share is taken text by text.
     """
-    k, t = fresh(docs, "__id"), fresh(docs, "__times")
-    plan = mix(docs, id_col, text_col, source_col, **kw)
-    times = plan.groupBy(F.col("doc_id").alias(k)).agg(F.max(F.floor(F.try_divide(F.col("taken") * 2 + F.col("size"), F.col("size") * 2))).cast("int").alias(t))
-    joined = docs.join(times, F.col(f"`{id_col}`").eqNullSafe(F.col(k)))
+    a, b, n, t = (fresh(docs, x) for x in ("__row", "__other", "__rows", "__times"))
     names = [F.col(f"`{c}`") for c in docs.columns]
-    return joined.where(F.col(t) > 0).select(*names, F.explode(F.sequence(F.lit(1), F.col(t))).alias(k)).select(*names)
+    k1, k2 = row_hashes(docs)
+    sized = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{source_col}`").alias("source"), word_count(F.col(f"`{text_col}`")).alias("size"), k1.alias("k1"), k2.alias("k2"))
+    plan = takes(sized, bytes_hint=plan_bytes(docs), **kw)
+    whole = F.floor(F.try_divide(F.col("taken") * 2 + F.col("size"), F.col("size") * 2))
+    times = plan.groupBy(F.col("k1").alias(a), F.col("k2").alias(b)).agg(F.count("*").alias(n), F.sum(whole).cast("int").alias(t)).where(F.col(t) > 0)
+    times, _ = materialize(times, "mix-times")
+    mine = docs.select(*names, k1.alias(c := fresh(docs, "__k1")), k2.alias(d := fresh(docs, "__k2")))
+    joined = mine.join(times.hint("merge"), (F.col(c) == F.col(a)) & (F.col(d) == F.col(b)))
+    many = lambda rows: rows.select(*names, F.explode(F.sequence(F.lit(1), F.col(t))).alias(a)).select(*names)
+    if times.where(F.col(n) > 1).isEmpty():
+        return many(joined)
+    once = many(joined.where(F.col(n) == 1))
+    return once.unionByName(many(joined.where(F.col(n) > 1).dropDuplicates([a, b])))  # equal rows: one stands for all their times
