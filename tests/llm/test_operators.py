@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import pickle
 import random
 import re
 import zlib
@@ -442,6 +443,13 @@ def test_decontamination(spark, docs, block):
     assert none.where("contaminated or n_hit > 0").count() == 0 and none.count() == len(rows)
 
 
+def test_searcher_is_small():
+    r = random.Random(1)
+    vocab = ["".join(r.choices("abcdefghijklmnopqrstuvwxyz", k=r.randrange(3, 9))) for _ in range(5000)]
+    items = [(str(i), " ".join(r.choices(vocab, k=300)).encode()) for i in range(300)]
+    assert len(pickle.dumps(decontamination.Searcher(items))) < 10 * sum(len(t) for _, t in items)
+
+
 def test_clean_keeps_columns(spark, docs):
     d = docs(ODD, extra=True)
     bench = spark.createDataFrame([(1, "a b c d e f g h i j")], "item_id long, text string")

@@ -3,11 +3,13 @@
 Patterns are the windows of ``WINDOW`` consecutive words of the benchmark's items (an item with fewer
 words, but not none, is one pattern). For all patterns of one length m and blocks of B words a SHIFT
 table says how far the search may move on: m - B + 1 for a block in no pattern, else the distance of its last occurrence from
-the end. Where the shift is 0 the block's bucket of patterns is compared directly. Most positions of a
-clean text are never looked at.
+the end. Where the shift is 0 the block's bucket of patterns is probed by hash and compared word by word. A text
+without such a position is done; in the others most positions are skipped.
 
-The patterns are broadcast in blocks of at most ``BLOCK_BYTES`` of item text, as many as it takes: each block is
-searched in its own pass and the hits of a document are united by an aggregate.
+The patterns are broadcast in blocks of at most ``BLOCK_BYTES`` of item text: each block is built, searched in its own
+pass and let go before the next, and the hits of a document are united by an aggregate. All tables are arrays of word
+numbers: some 40 bytes a word of a block, 8 a byte of its text, and the block's vocabulary. An item longer than a
+block is cut into overlapping pieces.
 
 Defined cases: null and empty texts have no words and are clean; items without words have no pattern;
 repeated items count by distinct item_id; rows that share an id are judged each for itself; texts
@@ -18,6 +20,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -25,9 +28,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from trailgraph.llm.textarrays import chunks
+from trailgraph.functions.runtime import materialize
+from trailgraph.llm.textarrays import chunks, sums, windows
 
-WINDOW, BLOCK_BYTES = 13, 32 << 20
+WINDOW, BLOCK_BYTES = 13, 16 << 20
 _WORD_BYTES = b"0123456789abcdefghijklmnopqrstuvwxyz" + bytes(range(128, 256))
 #: A-Z to lower case; every other byte that belongs to no word to a blank.
 _FOLD = bytes(b if b in _WORD_BYTES else b + 32 if 65 <= b <= 90 else 32 for b in range(256))
@@ -37,59 +41,111 @@ def words_of(text: bytes) -> list[bytes]:
     return text.translate(_FOLD).split()
 
 
-class Searcher:
-    """SHIFT tables and suffix buckets for the patterns of one or more items, by pattern length."""
+class _Patterns:
+    """SHIFT table and suffix buckets of all patterns of ``m`` words, whose first words are at ``starts``."""
+
+    def __init__(self, words: np.ndarray, base: int, m: int, starts: np.ndarray, items: np.ndarray, blocks: np.ndarray, shifts: np.ndarray):
+        self.m, self.b, self.base, self.words = m, min(2, m), base, words
+        order = np.lexsort((shifts, blocks))
+        blocks, shifts = blocks[order], shifts[order]
+        first = np.append(True, blocks[1:] != blocks[:-1])
+        self.block, self.shift = blocks[first], shifts[first].astype(np.uint8)
+        end = starts + m
+        suffix = np.searchsorted(self.block, words[end - 1] if self.b == 1 else words[end - 2].astype(np.int64) * base + words[end - 1])
+        h = windows(sums(words.astype(np.uint64) + np.uint64(1), 2), starts, end, 2)
+        order = np.lexsort((items, starts, h, suffix))
+        starts, items, h, suffix = starts[order], items[order], h[order], suffix[order]
+        new = np.append(True, (h[1:] != h[:-1]) | (suffix[1:] != suffix[:-1]))
+        for k in range(m):  # equal hashes are one pattern only if all words are equal
+            new[1:] |= words[starts[1:] + k] != words[starts[:-1] + k]
+        at = np.flatnonzero(new)
+        self.start, self.hash, self.items = starts[at].astype(np.int32), h[at], items.astype(np.int32)
+        self.of = np.append(at, len(items)).astype(np.int32)
+        self.bucket = np.searchsorted(suffix[at], np.arange(len(self.block) + 1)).astype(np.int32)
+
+    def search(self, ids: np.ndarray, prefix: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+        """(start, items) of every occurrence in a text of word numbers."""
+        m, b = self.m, self.b
+        if len(ids) < m:
+            return
+        code = ids if b == 1 else ids[:-1] * self.base + ids[1:]
+        at = np.minimum(np.searchsorted(self.block, code), len(self.block) - 1)
+        move = np.where(self.block[at] == code, self.shift[at], m - b + 1)
+        if move[m - b :].all():
+            return
+        move, spots, i = move.tolist(), [], m - b
+        while i < len(move):
+            if move[i]:
+                i += move[i]
+            else:
+                spots.append(i)
+                i += 1
+        where = np.array(spots, np.int64) + b - m
+        for start, k, h in zip(where, at[spots], windows(prefix, where, where + m, 2)):
+            lo, hi = self.bucket[k], self.bucket[k + 1]
+            p = lo + int(np.searchsorted(self.hash[lo:hi], h))
+            while p < hi and self.hash[p] == h:
+                s = self.start[p]
+                if (self.words[s : s + m] == ids[start : start + m]).all():
+                    yield int(start), self.items[self.of[p] : self.of[p + 1]]
+                p += 1
 
-    def __init__(self, items: list[tuple[str, list[bytes]]], window: int = WINDOW):
+
+class Searcher:
+    """The patterns of a block of items, by pattern length."""
+
+    def __init__(self, items: list[tuple[str, bytes]], window: int = WINDOW):
+        vocabulary: dict[bytes, int] = {}
+        numbers, self.names = [], [name for name, _ in items]
+        for _, raw in items:
+            numbers.append(np.array([vocabulary.setdefault(w, len(vocabulary)) for w in words_of(raw)], np.int32))
+        words = np.concatenate([np.zeros(0, np.int32), *numbers])
+        self.vocabulary, self.unknown, base = vocabulary, len(vocabulary), len(vocabulary) + 1
+        n = np.array([len(x) for x in numbers], np.int64)
+        first = np.cumsum(n) - n
         self.tables = []
-        by_size: dict[int, dict[tuple, set]] = {}
-        for item, words in items:
-            m = min(window, len(words))
-            for i in range(len(words) - m + 1) if m else ():
-                by_size.setdefault(m, {}).setdefault(tuple(words[i : i + m]), set()).add(item)
-        for m, patterns in sorted(by_size.items()):
-            b = min(2, m)
-            shift: dict = {}
-            bucket: dict = {}
-            for p in patterns:
-                for j in range(b, m + 1):
-                    block = p[j - b : j] if b == 2 else p[j - 1]
-                    shift[block] = min(shift.get(block, m), m - j)
-                bucket.setdefault(p[m - b :] if b == 2 else p[m - 1], []).append(p)
-            self.tables.append((m, b, shift, bucket, patterns))
+        for m in sorted(set(np.minimum(n, window).tolist()) - {0}):
+            which = np.flatnonzero(np.minimum(n, window) == m)
+            b, each = min(2, m), n[which] - m + 1
+            within = np.arange(each.sum()) - np.repeat(np.cumsum(each) - each, each)
+            starts, owner = np.repeat(first[which], each) + within, np.repeat(which, each)
+            each = n[which] - b + 1
+            t = np.arange(each.sum()) - np.repeat(np.cumsum(each) - each, each)
+            at = np.repeat(first[which], each) + t
+            blocks = words[at].astype(np.int64) if b == 1 else words[at].astype(np.int64) * base + words[at + 1]
+            self.tables.append(_Patterns(words, base, m, starts, owner, blocks, np.maximum(0, m - b - t)))
 
     def search(self, words: list[bytes]) -> tuple[list[tuple[int, int]], set]:
         """(start, end) of every occurrence, and the items they come from."""
-        hits, items, n = [], set(), len(words)
-        for m, b, shift, bucket, patterns in self.tables:
-            if n < m:
-                continue
-            far, i = m - b + 1, m - 1
-            while i < n:
-                block = (words[i - 1], words[i]) if b == 2 else words[i]
-                s = shift.get(block, far)
-                if s:
-                    i += s
-                    continue
-                there = tuple(words[i - m + 1 : i + 1])
-                for p in bucket[block] if len(bucket[block]) < 8 else (there,) if there in patterns else ():
-                    if p == there:
-                        hits.append((i - m + 1, i + 1))
-                        items |= patterns[p]
-                i += 1
-        return hits, items
-
-
-def _blocks(benchmark: DataFrame, item_col: str, text_col: str, limit: int) -> Iterator[list[tuple[str, list[bytes]]]]:
-    """Items in blocks of bounded size; the driver holds one at a time."""
+        hits, found = [], set()
+        if self.tables and words:
+            ids = np.fromiter(map(self.vocabulary.get, words, repeat(self.unknown)), np.int64, len(words))
+            prefix = sums(ids.astype(np.uint64) + np.uint64(1), 2)
+            for table in self.tables:
+                for start, items in table.search(ids, prefix):
+                    hits.append((start, start + table.m))
+                    found.update(items.tolist())
+        return hits, {self.names[i] for i in found}
+
+
+def _pieces(raw: bytes, limit: int, window: int) -> list[bytes]:
+    """An item's text, cut where it is longer than a block; each piece begins with the last window less a word of the one before."""
+    if len(raw) <= limit:
+        return [raw]
+    words, step = words_of(raw), max(1, limit // 16)
+    return [b" ".join(words[i : i + step + window - 1]) for i in range(0, max(1, len(words) - window + 1), step)]
+
+
+def _blocks(benchmark: DataFrame, item_col: str, text_col: str, limit: int, window: int = WINDOW) -> Iterator[list[tuple[str, bytes]]]:
+    """Items in blocks of bounded size; the driver holds two at a time."""
     now, size = [], 0
     for item, text in benchmark.select(F.col(f"`{item_col}`").cast("string"), F.col(f"`{text_col}`").cast("string")).toLocalIterator():
-        raw = (text or "").encode("utf-8", "surrogatepass")
-        if now and size + len(raw) > limit:
-            yield now
-            now, size = [], 0
-        now.append((item, words_of(raw)))
-        size += len(raw)
+        for raw in _pieces((text or "").encode("utf-8", "surrogatepass"), limit, window):
+            if now and size + len(raw) > limit:
+                yield now
+                now, size = [], 0
+            now.append((item, raw))
+            size += len(raw)
     yield now
 
 
@@ -132,10 +188,11 @@ def judge(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_co
     spark = docs.sparkSession
     whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns]) if keep_text else F.lit(None).cast("struct<x:int>")
     rows = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"), whole.alias("row"))
-    searchers = [spark.sparkContext.broadcast(Searcher(x, window)) for x in _blocks(benchmark, item_col, item_text, block_bytes)]
-    if len(searchers) == 1:
-        return _one_pass(rows, searchers[0])
-    return _many_passes(rows, searchers)
+    blocks = _blocks(benchmark, item_col, item_text, block_bytes, window)
+    one, two = next(blocks), next(blocks, None)
+    if two is None:
+        return _one_pass(rows, spark.sparkContext.broadcast(Searcher(one, window)))
+    return _many_passes(rows, chain((one, two), blocks), window)
 
 
 def _one_pass(rows: DataFrame, searcher) -> DataFrame:
@@ -152,7 +209,7 @@ def _one_pass(rows: DataFrame, searcher) -> DataFrame:
     return rows.mapInArrow(run, _schema(rows))
 
 
-def _many_passes(rows: DataFrame, searchers: list) -> DataFrame:
+def _many_passes(rows: DataFrame, blocks: Iterator, window: int) -> DataFrame:
     """Hits per block of the benchmark, united by a key that names the row's id and text."""
     keyed = rows.withColumn("key", F.xxhash64("doc_id", "text"))
 
@@ -172,8 +229,11 @@ def _many_passes(rows: DataFrame, searchers: list) -> DataFrame:
         return run
 
     found = None
-    for s in searchers:
-        part = keyed.select("key", "text").mapInArrow(searching(s), "key long, hits array<array<int>>, items array<string>").distinct()
+    for block in blocks:
+        searcher = rows.sparkSession.sparkContext.broadcast(Searcher(block, window))
+        part = keyed.select("key", "text").mapInArrow(searching(searcher), "key long, hits array<array<int>>, items array<string>").distinct()
+        part, _ = materialize(part, "benchmark-hits")
+        searcher.destroy()
         found = part if found is None else found.union(part)
     united = found.groupBy("key").agg(F.flatten(F.collect_list("hits")).alias("hits"), F.flatten(F.collect_list("items")).alias("items"))
 
