@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from tests.compare import database, expected, rows
-from tests.llm.test_operators import _contaminated, _fingerprint, _groups
+from tests.llm.test_operators import _alike, _contaminated, _fingerprint, _groups
 from trailgraph.llm import oracles, queries, quality
 
 
@@ -45,7 +45,7 @@ def test_stages(spark, sf):
             assert set(after) == ok
         elif i == 1:
             keys = sorted(before)
-            groups = _groups([_fingerprint(before[k]) for k in keys])
+            groups = _alike([before[k] for k in keys])
             assert set(after) == {keys[g] for g in groups} and max(after.values()) == 1
         elif i == 2:
             bench = [tuple(r) for r in spark.read.parquet(f"{sf}/benchmark.parquet").select("item_id", "text").collect()]
