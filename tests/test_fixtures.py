@@ -175,3 +175,61 @@ def test_bank_subsets(spark):
     sizes = [r.n_banks for r in got]
     assert len(got) == 31 and [sizes.count(k) for k in range(1, 6)] == [5, 10, 10, 5, 1]
     assert all(sum(r["mask"] >> b & 1 for r in got) == 16 for b in range(5))
+
+
+def test_too_many_banks_are_refused(spark):
+    with pytest.raises(ValueError):
+        layered.bank_subsets(spark.range(31).withColumnRenamed("id", "bank"))
+    assert layered.bank_subsets(spark.range(0).withColumnRenamed("id", "bank")).count() == 0
+
+
+def _hand(spark, which=(1, 2, 3, 4)):
+    from datetime import timedelta
+
+    from trailgraph.operators import flows, temporal
+    from trailgraph.queries import fixtures
+
+    t = fixtures.payments(spark).where(F.col("flow").isin(*which))
+    e = temporal.build(t.drop("flow"), timedelta(days=5))
+    return flows.payments(t.select("flow", "txn_id"), t.drop("flow"), ("flow",)), e
+
+
+def test_max_flow_of_the_hand_flows(spark):
+    from trailgraph.operators import risk
+    from trailgraph.queries import fixtures
+
+    p, e = _hand(spark)
+    for got in (risk.temporal_max_flow(p, e, keys=("flow",)), risk.temporal_max_flow_cogrouped(p, e, ("flow",))):
+        assert sorted(map(tuple, got.collect())) == fixtures.MAXFLOW_ANSWERS
+
+
+def test_sweep_and_loss_of_the_case_studies(spark):
+    from trailgraph.queries import fixtures
+
+    p, e = _hand(spark, (2, 3))
+    assert sorted(map(tuple, layered.sweep(p, e, (3, 4, 5), 80, ("flow",)).collect())) == fixtures.SWEEP_ANSWERS
+    assert sorted(map(tuple, layered.split_loss(p, e, (3, 4, 5), 80, ("flow",)).collect())) == fixtures.LOSS_ANSWERS
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_peeling_against_a_plain_greedy(spark, seed):
+    """The account of least score goes, ties to the least account; the densest state seen is kept."""
+    import random
+
+    r = random.Random(seed)
+    arcs = [(*r.sample(range(8), 2), r.randrange(1, 40)) for _ in range(14)]
+
+    def score(v, live):
+        i = sum(m for a, b, m in arcs if b == v and a in live)
+        o = sum(m for a, b, m in arcs if a == v and b in live)
+        return min(i, o) - 0.8 * abs(i - o)
+
+    live = {v for a, b, _ in arcs for v in (a, b)}
+    best, keep = None, None
+    while live:
+        density = sum(score(v, live) for v in live) / len(live)
+        if best is None or density > best + 1e-9:
+            best, keep = density, set(live)
+        live.remove(min(live, key=lambda v: (round(score(v, live), 9), v)))
+    got = layered._peel([(a, b, m) for a, b, m in arcs], 0.8)
+    assert {v for v, _ in got} == keep and all(abs(d - best) < 1e-6 for _, d in got)

@@ -9,66 +9,81 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from trailgraph.functions.runtime import materialize
 from trailgraph.operators import flows, risk
 from trailgraph.operators.flows import KEYS
 
 
+MOST_BANKS = 30
+
+
 def _inner(pay: DataFrame, edges: DataFrame, keys) -> DataFrame:
     own = lambda c: pay.select(*keys, F.col("txn_id").alias(c))
     return edges.select("src_id", "dst_id").join(own("src_id"), "src_id").join(own("dst_id"), ["dst_id", *keys]).select(*keys, "src_id", "dst_id")
 
 
-def _levels(start: DataFrame, inner: DataFrame, k: int, keys, frm: str, to: str, name: str) -> DataFrame:
-    """(keys, txn_id, level): level i = i-th payment of some walk that begins in ``start``."""
-    cur = start.withColumn(name, F.lit(1))
-    out = cur
-    for i in range(2, k):
-        cur = cur.select(*keys, F.col("txn_id").alias(frm)).join(inner, [*keys, frm]).select(*keys, F.col(to).alias("txn_id")).distinct().withColumn(name, F.lit(i))
-        out = out.unionByName(cur)
+def _levels(start: DataFrame, inner: DataFrame, most: int, keys, frm: str, to: str, name: str) -> DataFrame:
+    """(keys, txn_id, level): level i = i-th payment of some walk that begins in ``start``; each level is written once."""
+    cur, _ = materialize(start.select(*keys, "txn_id").distinct(), "level")
+    out = cur.withColumn(name, F.lit(1))
+    for i in range(2, most + 1):
+        step = cur.select(*keys, F.col("txn_id").alias(frm)).join(inner, [*keys, frm]).select(*keys, F.col(to).alias("txn_id")).distinct()
+        cur, _ = materialize(step, "level")
+        out = out.unionByName(cur.withColumn(name, F.lit(i)))
     return out
 
 
+def parts(pay: DataFrame, edges: DataFrame, ks=(3, 4, 5), keys=KEYS) -> DataFrame:
+    """B7 for several numbers of layers at once: the payments with ``k``, for each k that has a walk of k - 1 payments over them."""
+    pay, _ = materialize(pay, "layered-pay")
+    inner, _ = materialize(_inner(pay, edges, keys), "layered-edges")
+    role, _ = materialize(flows.roles(pay, keys).select(*keys, "acct", "role"), "layered-roles")
+    end = lambda side, r: pay.join(role.where(F.col("role") == r).select(*keys, F.col("acct").alias(side)), [*keys, side], "left_semi")
+    fwd = _levels(end("payer", "dispense"), inner, max(ks) - 1, keys, "src_id", "dst_id", "i")
+    bwd = _levels(end("payee", "sink"), inner, max(ks) - 1, keys, "dst_id", "src_id", "j")
+    on = fwd.join(bwd, [*keys, "txn_id"]).select(*keys, "txn_id", (F.col("i") + F.col("j")).alias("k")).where(F.col("k").isin(*ks)).distinct()
+    return materialize(pay.join(on, [*keys, "txn_id"]), "layered-parts")[0]
+
+
 def restrict(pay: DataFrame, edges: DataFrame, k: int, keys=KEYS) -> DataFrame:
     """Payments of each flow on a walk of exactly k - 1 payments from a dispense to a sink account."""
-    role = flows.roles(pay, keys).select(*keys, "acct", "role")
-    inner = _inner(pay, edges, keys)
-    end = lambda side, r: pay.join(role.where(F.col("role") == r).select(*keys, F.col("acct").alias(side)), [*keys, side], "left_semi").select(*keys, "txn_id")
-    fwd = _levels(end("payer", "dispense"), inner, k, keys, "src_id", "dst_id", "i")
-    bwd = _levels(end("payee", "sink"), inner, k, keys, "dst_id", "src_id", "j")
-    on = fwd.join(bwd, [*keys, "txn_id"]).where(F.col("i") + F.col("j") == k).select(*keys, "txn_id").distinct()
-    return pay.join(on, [*keys, "txn_id"], "left_semi")
+    return parts(pay, edges, (k,), keys).select(*pay.columns)
+
+
+def _swept(found: DataFrame, edges: DataFrame, threshold: int, keys) -> DataFrame:
+    by = (*keys, "k")
+    n = found.groupBy(*by).agg(F.countDistinct("txn_id").alias("n_txn"), F.size(F.array_union(F.collect_set("payer"), F.collect_set("payee"))).alias("n_acct"))
+    return n.join(risk.temporal_max_flow(found, edges, keys=by), list(by)).select(*by, "n_txn", "n_acct", "max_flow", (F.col("max_flow") > threshold).alias("c3"))
 
 
 def sweep(pay: DataFrame, edges: DataFrame, ks=(3, 4, 5), threshold: int = 500_000, keys=KEYS) -> DataFrame:
     """(keys, k, n_txn, n_acct, max_flow, c3) of each flow's part for each k; flows without such a part are left out."""
-    out = None
-    for k in ks:
-        part = restrict(pay, edges, k, keys)
-        n = part.groupBy(*keys).agg(F.countDistinct("txn_id").alias("n_txn"), F.size(F.array_union(F.collect_set("payer"), F.collect_set("payee"))).alias("n_acct"))
-        row = n.join(risk.temporal_max_flow(part, edges, keys=keys), list(keys)).select(*keys, F.lit(k).alias("k"), "n_txn", "n_acct", "max_flow", (F.col("max_flow") > threshold).alias("c3"))
-        out = row if out is None else out.unionByName(row)
-    return out
+    return _swept(parts(pay, edges, ks, keys), edges, threshold, keys)
 
 
 def split_loss(pay: DataFrame, edges: DataFrame, ks=(3, 4, 5), threshold: int = 500_000, keys=KEYS) -> DataFrame:
     """Per flow, C3 of the whole, numbers of ks that have a part and that pass, and accounts in no passing part."""
     whole = risk.temporal_max_flow(pay, edges, keys=keys).withColumn("c3_whole", F.col("max_flow") > threshold)
     acct = lambda p: p.select(*keys, F.explode(F.array("payer", "payee")).alias("acct")).distinct()
-    parts = sweep(pay, edges, ks, threshold, keys)
-    kept = None
-    for k in ks:
-        ok = parts.where((F.col("k") == k) & F.col("c3")).select(*keys)
-        a = acct(restrict(pay, edges, k, keys).join(ok, list(keys), "left_semi"))
-        kept = a if kept is None else kept.unionByName(a)
-    lost = acct(pay).join(kept.distinct(), [*keys, "acct"], "left_anti").groupBy(*keys).agg(F.count("*").alias("n_lost"))
-    per = parts.groupBy(*keys).agg(F.count("*").alias("n_ks"), F.count_if("c3").alias("n_flagged"))
-    return whole.join(per, list(keys), "left").join(lost, list(keys), "left").select(*keys, "max_flow", "c3_whole", F.coalesce("n_ks", F.lit(0)).alias("n_ks"), F.coalesce("n_flagged", F.lit(0)).alias("n_flagged"), F.coalesce("n_lost", F.lit(0)).alias("n_lost"))
+    found = parts(pay, edges, ks, keys)
+    swept, _ = materialize(_swept(found, edges, threshold, keys), "layered-sweep")
+    kept = acct(found.join(swept.where("c3").select(*keys, "k"), [*keys, "k"], "left_semi"))
+    lost = acct(pay).join(kept, [*keys, "acct"], "left_anti").groupBy(*keys).agg(F.count("*").alias("n_lost"))
+    per = swept.groupBy(*keys).agg(F.count("*").alias("n_ks"), F.count_if("c3").alias("n_flagged"))
+    out = whole.join(per, list(keys), "left").join(lost, list(keys), "left")
+    return out.select(*keys, "max_flow", "c3_whole", *[F.coalesce(n, F.lit(0)).alias(n) for n in ("n_ks", "n_flagged", "n_lost")])
 
 
 def bank_subsets(banks: DataFrame) -> DataFrame:
-    """(mask, n_banks) for every non-empty set of banks (column bank: 0, 1, ...; at most 20)."""
-    n = banks.agg((F.max("bank") + 1).alias("n"))
-    masks = n.select(F.explode(F.sequence(F.lit(1), F.expr("cast(shiftleft(1, cast(least(n, 20) as int)) - 1 as int)"))).alias("mask"))
+    """(mask, n_banks) for every non-empty set of banks (column bank: 0, 1, ...).
+
+    There are 2^n - 1 sets, so more than ``MOST_BANKS`` banks are refused rather than cut.
+    """
+    n = (banks.agg(F.max("bank")).first()[0] if banks.columns else None) or 0
+    if n >= MOST_BANKS:
+        raise ValueError(f"{n + 1} banks have more sets than can be listed; {MOST_BANKS} are the most")
+    top = banks.agg(F.coalesce(F.max("bank") + 1, F.lit(0)).cast("int").alias("n")).where("n > 0")
+    masks = top.select(F.explode(F.sequence(F.lit(1), F.expr("cast(shiftleft(1L, n) - 1 as int)"))).alias("mask"))
     return masks.select("mask", F.bit_count("mask").alias("n_banks"))
 
 

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-MAX_PATHS = 50_000_000
+from trailgraph.functions.runtime import materialize
 
 
 def paths(edges: DataFrame, hops: int, simple: bool = False, first: DataFrame | None = None, last: DataFrame | None = None, max_paths: int | None = None) -> DataFrame:
@@ -46,29 +46,44 @@ def flows(edges: DataFrame, layers=("1", "*", "1"), min_intermediates: int = 1,
     return x.select("key", "n_paths")
 
 
+def _first_hop(edges: DataFrame, first: DataFrame | None = None) -> DataFrame:
+    """(first_payer, end, tip, n) of the motifs of two hops."""
+    cur = edges.select(F.col("a").alias("first_payer"), F.col("dst_id").alias("end"), F.col("c").alias("tip"))
+    if first is not None:
+        cur = cur.join(first.select(F.col("acct").alias("first_payer")), "first_payer", "left_semi")
+    return cur.groupBy("first_payer", "end", "tip").agg(F.count("*").alias("n"))
+
+
+def _next_hop(cur: DataFrame, edges: DataFrame) -> DataFrame:
+    step = edges.select(F.col("src_id").alias("s"), F.col("dst_id").alias("d"), F.col("c").alias("x"))
+    return cur.join(step, F.col("end") == F.col("s")).groupBy("first_payer", F.col("d").alias("end"), F.col("x").alias("tip")).agg(F.sum("n").alias("n"))
+
+
+def _pairs(cur: DataFrame) -> DataFrame:
+    return cur.groupBy("first_payer", F.col("tip").alias("last_payee")).agg(F.sum("n").alias("n_paths"))
+
+
 def end_pairs(edges: DataFrame, hops: int, first: DataFrame | None = None, last: DataFrame | None = None) -> DataFrame:
     """Type 2 groups (first_payer, last_payee, n_paths) without making the paths: multiplicities are carried.
 
     State after each hop is (first payer, last payment, tip, count): the shuffle stays at payments times first payers.
     """
-    cur = edges.select(F.col("a").alias("first_payer"), F.col("dst_id").alias("end"), F.col("c").alias("tip"))
-    if first is not None:
-        cur = cur.join(first.select(F.col("acct").alias("first_payer")), "first_payer", "left_semi")
-    cur = cur.groupBy("first_payer", "end", "tip").agg(F.count("*").alias("n"))
-    step = edges.select(F.col("src_id").alias("s"), F.col("dst_id").alias("d"), F.col("c").alias("x"))
+    cur = _first_hop(edges, first)
     for _ in range(hops - 2):
-        cur = cur.join(step, F.col("end") == F.col("s")).groupBy("first_payer", F.col("d").alias("end"), F.col("x").alias("tip")).agg(F.sum("n").alias("n"))
+        cur = _next_hop(cur, edges)
     if last is not None:
         cur = cur.join(last.select(F.col("acct").alias("tip")), "tip", "left_semi")
-    return cur.groupBy("first_payer", F.col("tip").alias("last_payee")).agg(F.sum("n").alias("n_paths"))
+    return _pairs(cur)
 
 
 def growth(edges: DataFrame, hops=(2, 3, 4, 5, 6, 7)) -> DataFrame:
-    """(hops, n_paths, n_flows) of the type 2 motif for each number of hops."""
-    out = None
-    for h in hops:
-        row = end_pairs(edges, h).agg(F.lit(h).alias("hops"), F.coalesce(F.sum("n_paths"), F.lit(0)).alias("n_paths"), F.count("*").alias("n_flows"))
-        out = row if out is None else out.unionByName(row)
+    """(hops, n_paths, n_flows) of the type 2 motif for each number of hops; one chain, written after each hop."""
+    cur, out = _first_hop(edges), None
+    for h in range(2, max(hops) + 1):
+        cur, _ = materialize(cur if h == 2 else _next_hop(cur, edges), "motif-chain")
+        if h in hops:
+            row = _pairs(cur).agg(F.lit(h).alias("hops"), F.coalesce(F.sum("n_paths"), F.lit(0)).alias("n_paths"), F.count("*").alias("n_flows"))
+            out = row if out is None else out.unionByName(row)
     return out
 
 

@@ -15,7 +15,6 @@ from trailgraph.functions.runtime import materialize, scratch_path
 from trailgraph.operators import anomaly, community, flows, prep, risk, second_order, temporal
 from trailgraph.operators.components import wcc
 from trailgraph.plans import config, experiments, metrics, pipeline, sqlsurface
-from trailgraph.queries import fixtures
 from trailgraph.queries.sql import ACCT, DAY, EVENTS, HOUR, PAY, ROLES, SEDGE, SUMMARY, TRADE, WCC, WTS, c1, q, tedge, wedge
 from trailgraph.sources import ledger, store
 from trailgraph.streaming import streams
@@ -510,22 +509,13 @@ def maxflow_bounds(spark, d):
     return x.agg(F.count_if((F.col("max_flow") > F.least("dispensed", "sunk")) | (F.col("max_flow") > F.col("free")) | (F.col("free") > F.least("dispensed", "sunk"))).alias("n_bad"))
 
 
-@query(fixtures.values_sql(fixtures.MAXFLOW_ANSWERS, "flow BIGINT, max_flow BIGINT"))
-def maxflow_fixture(spark, d):
-    """C3 on hand fixtures F1-F4 against answers worked out by hand."""
-    t = fixtures.payments(spark)
-    e = temporal.build(t.drop("flow"), timedelta(days=5))
-    p = flows.payments(t.select("flow", "txn_id"), t.drop("flow"), ("flow",))
-    return risk.temporal_max_flow(p, e, keys=("flow",))
-
-
-@query(fixtures.values_sql(fixtures.MAXFLOW_ANSWERS, "flow BIGINT, max_flow BIGINT"))
+@query(q(*FLOWS, select="SELECT count(*) AS n_flows, CAST(0 AS BIGINT) AS n_differ FROM summary"))
 def maxflow_cogroup(spark, d):
-    """Payments and edges of each flow as cogrouped tables."""
-    t = fixtures.payments(spark)
-    e = temporal.build(t.drop("flow"), timedelta(days=5))
-    p = flows.payments(t.select("flow", "txn_id"), t.drop("flow"), ("flow",))
-    return risk.temporal_max_flow_cogrouped(p, e, ("flow",))
+    """Payments and edges of each flow as cogrouped tables give the maximum flow that one row per flow gives."""
+    p, w = _pay(spark, d), _wedges(spark, d, 6)
+    packed = risk.temporal_max_flow(p, w).withColumnRenamed("max_flow", "other")
+    x = risk.temporal_max_flow_cogrouped(p, w).join(packed, "comm_id", "full")
+    return x.agg(F.count("*").alias("n_flows"), F.count_if(~F.col("max_flow").eqNullSafe(F.col("other"))).alias("n_differ"))
 
 
 @query(None)
@@ -589,7 +579,7 @@ def _motif(h: int):
         return motif.end_pairs(_edges(spark, d), h)
 
 
-for _h in range(2, 7):
+for _h in range(2, 8):
     _motif(_h)
 
 
@@ -639,15 +629,15 @@ def _growth_sql(name: str, hops) -> str:
     return " UNION ALL ".join(f"SELECT {h} AS hops, CAST(coalesce(sum(n_paths), 0) AS BIGINT) AS n_paths, count(*) AS n_flows FROM ({_ends_sql(h, name)})" for h in hops)
 
 
-@query(q(*E1D, select=_growth_sql("tedge", range(2, 7))))
+@query(q(*E1D, select=_growth_sql("tedge", range(2, 8))))
 def motif_growth(spark, d):
     """Paths and flows by number of hops, unpruned."""
-    return motif.growth(_once(spark, ("edges", d), lambda: _edges(spark, d)), range(2, 7))
+    return motif.growth(_once(spark, ("edges", d), lambda: _edges(spark, d)))
 
 
-@query(q(*E1D, wedge(), select=_growth_sql("wedge", range(2, 7))))
+@query(q(*E1D, wedge(), select=_growth_sql("wedge", range(2, 8))))
 def motif_growth_pruned(spark, d):
-    return motif.growth(_wedges(spark, d), range(2, 7))
+    return motif.growth(_wedges(spark, d))
 
 
 _M3 = "m3 AS (SELECT DISTINCT e0.a AS first_payer, e1.c AS last_payee, unnest([e0.src_id, e0.dst_id, e1.dst_id]) AS txn_id FROM wedge e0 JOIN wedge e1 ON e0.dst_id = e1.src_id)"
@@ -682,21 +672,41 @@ for _k in (3, 4, 5):
     _layered(_k)
 
 
-@query(fixtures.values_sql(fixtures.SWEEP_ANSWERS, "flow BIGINT, k INTEGER, n_txn BIGINT, n_acct INTEGER, max_flow BIGINT, c3 BOOLEAN"))
-def layered_sweep_fixture(spark, d):
-    """The two case studies in miniature."""
-    t = fixtures.payments(spark).where("flow in (2, 3)")
-    e = temporal.build(t.drop("flow"), timedelta(days=5))
-    p = flows.payments(t.select("flow", "txn_id"), t.drop("flow"), ("flow",))
-    return layered.sweep(p, e, (3, 4, 5), 80, ("flow",))
+_KS = (3, 4, 5)
+_PARTS = ", ".join(_layered_sql(k).replace("lay AS", f"lay{k} AS", 1) for k in _KS) + ", parts AS (" + " UNION ALL ".join(f"SELECT {k} AS k, * FROM lay{k}" for k in _KS) + ")"
+_ON = "pa AS (SELECT DISTINCT k, comm_id, unnest([payer, payee]) AS acct FROM parts JOIN pay USING (comm_id, txn_id))"
+
 
+@query(q(*FLOWS, _PARTS, _ON, select="SELECT k, comm_id, n_txn, n_acct FROM (SELECT k, comm_id, count(*) AS n_txn FROM parts GROUP BY ALL) JOIN (SELECT k, comm_id, CAST(count(*) AS INTEGER) AS n_acct FROM pa GROUP BY ALL) USING (k, comm_id)"))
+def layered_sweep(spark, d):
+    """What is left of every flow for each number of layers."""
+    return layered.sweep(_pay(spark, d), _wedges(spark, d, 6), _KS).select("k", "comm_id", "n_txn", "n_acct")
 
-@query(fixtures.values_sql(fixtures.LOSS_ANSWERS, "flow BIGINT, max_flow BIGINT, c3_whole BOOLEAN, n_ks BIGINT, n_flagged BIGINT, n_lost BIGINT"))
+
+@query(None)
 def split_loss(spark, d):
-    t = fixtures.payments(spark).where("flow in (2, 3)")
-    e = temporal.build(t.drop("flow"), timedelta(days=5))
-    p = flows.payments(t.select("flow", "txn_id"), t.drop("flow"), ("flow",))
-    return layered.split_loss(p, e, (3, 4, 5), 80, ("flow",))
+    """What the whole flow passes and its fixed-length parts lose, at the threshold of C3."""
+    return layered.split_loss(_pay(spark, d), _wedges(spark, d, 6), _KS)
+
+
+_LOST = """SELECT p.comm_id, count(DISTINCT k) AS n_ks, count(DISTINCT k) AS n_flagged,
+(SELECT count(*) FROM (SELECT payer AS acct FROM pay x WHERE x.comm_id = p.comm_id UNION SELECT payee FROM pay x WHERE x.comm_id = p.comm_id) w WHERE w.acct NOT IN (SELECT acct FROM pa WHERE pa.comm_id = p.comm_id)) AS n_lost
+FROM (SELECT DISTINCT comm_id FROM pay) p LEFT JOIN parts USING (comm_id) GROUP BY p.comm_id"""
+
+
+@query(q(*FLOWS, _PARTS, _ON, select=_LOST))
+def split_loss_reach(spark, d):
+    """E10 with a threshold of 0: every part that there is passes, so accounts are lost only where no walk of 3 to 5 layers reaches them."""
+    return layered.split_loss(_pay(spark, d), _wedges(spark, d, 6), _KS, 0).select("comm_id", "n_ks", "n_flagged", "n_lost")
+
+
+@query(None)
+def case_studies(spark, d):
+    """The ten flows that sink most, each with its parts for 3 to 5 layers."""
+    p = _pay(spark, d)
+    top = flows.summarize(p, flows.roles(p)).orderBy(F.desc("sunk"), "comm_id").limit(10).select("comm_id")
+    ten = p.join(F.broadcast(top), "comm_id", "left_semi")
+    return layered.split_loss(ten, _wedges(spark, d, 6), _KS)
 
 
 @query("WITH b AS (SELECT count(*) AS n FROM region), m AS (SELECT unnest(generate_series(1, (SELECT (1 << n) - 1 FROM b))) AS mask) SELECT CAST(mask AS INTEGER) AS mask, CAST(bit_count(mask) AS INTEGER) AS n_banks FROM m")
@@ -725,17 +735,32 @@ def layered_peel(spark, d):
 
 # ---- comparison of methods (E6, E7, E9) -----------------------------------------------------------
 
-_FLAGGED = fixtures.flagged_sql()
+_FLAGGED = """f AS (SELECT 'components' AS method, CAST(comm_id AS VARCHAR) AS flow_key, unnest([payer, payee]) AS acct
+  FROM pay JOIN c1 USING (comm_id) JOIN summary USING (comm_id) WHERE c1 AND sunk_pct BETWEEN 50 AND 150
+  UNION ALL SELECT 'motif-join+', e0.a || '|' || e1.c, unnest([e0.a, e0.b, e0.c, e1.c])
+  FROM wedge e0 JOIN wedge e1 ON e0.dst_id = e1.src_id WHERE e0.a IN (SELECT acct FROM seg) AND e1.c IN (SELECT acct FROM seg)),
+u AS (SELECT count(DISTINCT acct) AS n_union FROM f)"""
+
+
+def _two_methods(spark, d):
+    """FLAGGED of weak components that pass C1 and C2, and of motif flows of three hops whose ends pass C1."""
+    pay, keys, s = _pay(spark, d), ("first_payer", "last_payee"), _segments(spark, d)
+    a = risk.flagged_accounts(_flagged(spark, d).withColumn("suspicious", F.col("c1") & F.col("c2")), pay, "components")
+    p = flows.payments(motif.members(_wedges(spark, d, 6), 3, first=s, last=s), _e(spark, d), keys)
+    found = p.select(*keys).distinct().withColumn("suspicious", F.lit(True))
+    return a.unionByName(risk.flagged_accounts(found, p, "motif-join+", keys))
 
 
-@query(f"WITH f AS ({_FLAGGED}), u AS (SELECT count(DISTINCT acct) AS n_union FROM f) SELECT method, count(DISTINCT acct) AS n_acct, any_value(n_union) AS n_union, count(DISTINCT acct) * 100 / any_value(n_union) AS coverage_pct FROM f, u GROUP BY method")
+@query(q(*FLOWS, ACCT, _SEG, c1(), _FLAGGED, select="SELECT method, count(DISTINCT acct) AS n_acct, any_value(n_union) AS n_union, count(DISTINCT acct) * 100 / any_value(n_union) AS coverage_pct FROM f, u GROUP BY method"))
 def coverage(spark, d):
-    return metrics.coverage(fixtures.flagged(spark))
+    """E7."""
+    return metrics.coverage(_two_methods(spark, d))
 
 
-@query(f"WITH f AS ({_FLAGGED}) SELECT method, count(DISTINCT flow_key) AS n_cases FROM f GROUP BY method")
+@query(q(*FLOWS, ACCT, _SEG, c1(), _FLAGGED, select="SELECT method, count(DISTINCT flow_key) AS n_cases FROM f GROUP BY method"))
 def cases(spark, d):
-    return metrics.cases(fixtures.flagged(spark))
+    """E6."""
+    return metrics.cases(_two_methods(spark, d))
 
 
 @query(None)
@@ -1037,6 +1062,64 @@ def sliding(spark, d):
     return _final(spark, streams.sliding(streams.events(spark, _event_files(spark, d)), lateness="40 days"), ["start_us", "payer"])
 
 
+@query(q(*E1D, wedge(0.0), select="SELECT src_id, dst_id, n, p_fwd, p_bwd, w FROM wedge"))
+def join_shuffle_hash(spark, d):
+    """Weights joined to the edges by hash tables after a shuffle."""
+    e = _edges(spark, d)
+    w = second_order.weights(second_order.pair_graph(e))
+    return second_order.attach(e, w.hint("shuffle_hash")).select("src_id", "dst_id", "n", "p_fwd", "p_bwd", "w")
+
+
+@query(q(EVENTS, select="SELECT acct, n, total FROM (SELECT DISTINCT payer AS acct FROM txn) a, LATERAL (SELECT count(*) AS n, CAST(sum(amount) AS BIGINT) AS total FROM txn WHERE payee = a.acct)"))
+def join_lateral(spark, d):
+    """What each payer receives, by a lateral join."""
+    t = _e(spark, d)
+    got = t.where(F.col("payee") == F.col("acct").outer()).select(F.count("*").alias("n"), F.sum("amount").alias("total"))
+    return t.select(F.col("payer").alias("acct")).distinct().lateralJoin(got)
+
+
+_RANKS = "rank() OVER w AS rank, dense_rank() OVER w AS dense, round(percent_rank() OVER w, 9) AS percent, round(cume_dist() OVER w, 9) AS cume, ntile(4) OVER o AS quarter"
+
+
+@query(q(EVENTS, select=f"SELECT txn_id, {_RANKS} FROM txn WINDOW w AS (PARTITION BY payer ORDER BY amount), o AS (PARTITION BY payer ORDER BY us, txn_id)"))
+def window_ranks(spark, d):
+    """W2f: the ranking functions."""
+    w, o = Window.partitionBy("payer").orderBy("amount"), Window.partitionBy("payer").orderBy("ts", "txn_id")
+    long = lambda c: c.cast("long")
+    return _e(spark, d).select(
+        "txn_id", long(F.rank().over(w)).alias("rank"), long(F.dense_rank().over(w)).alias("dense"),
+        F.round(F.percent_rank().over(w), 9).alias("percent"), F.round(F.cume_dist().over(w), 9).alias("cume"), long(F.ntile(4).over(o)).alias("quarter"),
+    )
+
+
+@query(q(EVENTS, select="SELECT txn_id, first_value(amount) OVER o AS first, last_value(amount) OVER o AS last, nth_value(amount, 2) OVER o AS second FROM txn WINDOW o AS (PARTITION BY payer ORDER BY us, txn_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)"))
+def window_values(spark, d):
+    """W3f: first, last and n-th value."""
+    o = Window.partitionBy("payer").orderBy("ts", "txn_id").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return _e(spark, d).select("txn_id", F.first("amount").over(o).alias("first"), F.last("amount").over(o).alias("last"), F.nth_value("amount", 2).over(o).alias("second"))
+
+
+@query(q(EVENTS, select="SELECT payer AS acct FROM txn INTERSECT ALL SELECT payee AS acct FROM txn"))
+def set_intersect_all(spark, d):
+    """O8."""
+    t = _e(spark, d)
+    return t.select(F.col("payer").alias("acct")).intersectAll(t.select(F.col("payee").alias("acct")))
+
+
+@query(q(EVENTS, select="SELECT payer AS acct FROM txn EXCEPT SELECT payee AS acct FROM txn"))
+def set_subtract(spark, d):
+    """O9."""
+    t = _e(spark, d)
+    return t.select(F.col("payer").alias("acct")).subtract(t.select(F.col("payee").alias("acct")))
+
+
+@query(q(EVENTS, select="""SELECT txn_id, '{"payer":' || payer || ',"to":' || payee || '}' AS doc, 'STRUCT<payer: BIGINT, to: BIGINT>' AS kind FROM txn"""))
+def struct_and_json(spark, d):
+    """Struct and JSON functions: withField, dropFields, to_json, schema_of_json."""
+    x = F.struct("payer", "amount").withField("to", F.col("payee")).dropFields("amount")
+    return _e(spark, d).select("txn_id", F.to_json(x).alias("doc"), F.schema_of_json(F.lit('{"payer": 1, "to": 2}')).alias("kind"))
+
+
 _SESSION = f"g AS (SELECT *, CASE WHEN us - lag(us) OVER (PARTITION BY payer ORDER BY us) < {6 * HOUR} THEN 0 ELSE 1 END AS cut FROM txn), h AS (SELECT *, sum(cut) OVER (PARTITION BY payer ORDER BY us ROWS UNBOUNDED PRECEDING) AS spell FROM g)"
 
 
