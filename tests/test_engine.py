@@ -109,6 +109,9 @@ def test_distributed_engine(spark):
     for r in community.detect(e, engine="distributed").collect():
         got.setdefault(r.comm_id, []).append(r.txn_id)
     assert {tuple(sorted(v)) for v in got.values()} == {(1, 2, 3), (4, 5, 6)}
+    for kw in (dict(quality="cpm", resolution=0.3), dict(directed=False)):
+        groups = lambda engine: sorted(tuple(sorted(r.t)) for r in community.detect(e, engine=engine, **kw).groupBy("comm_id").agg(F.collect_list("txn_id").alias("t")).collect())  # noqa: B023, E731
+        assert groups("distributed") == groups("kernel") == [(1, 2, 3), (4, 5, 6)]
     capped = community.detect(e, engine="distributed", max_comm_size=2).groupBy("comm_id").count().agg(F.max("count")).first()[0]
     assert capped <= 2
 

@@ -56,9 +56,7 @@ def detect(edges: DataFrame, weight: str | None = "w", quality: str = "modularit
     if engine != "kernel":
         large = routed.where(F.lit(engine == "distributed") | (F.col("n_edges") > task_limit))
         if not large.isEmpty():
-            if quality != "modularity" or not directed:
-                raise ValueError("the distributed engine has directed modularity only")
-            parts.append(_distributed(large, resolution, max_comm_size))
+            parts.append(_distributed(large, resolution, max_comm_size, quality, directed))
     out = parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
     return out.select(F.when(F.col("u") >= 0, F.timestamp_micros("u")).alias("window_start"), "comm_id", "txn_id")
 
@@ -79,28 +77,37 @@ def _by_kernel(edges: DataFrame, kernel: dict) -> DataFrame:
     return packed.groupBy("pack").applyInPandas(solve, "u long, comm_id long, txn_id long")
 
 
-def _distributed(edges: DataFrame, resolution: float, cap: int | None, rounds: int = 12, levels: int = 4) -> DataFrame:
-    """M11d: local moving by joins and aggregates, contraction, and repair of connectedness.
+def _distributed(edges: DataFrame, resolution: float, cap: int | None, quality: str = "modularity", directed: bool = True) -> DataFrame:
+    """M11d: local moving, refinement and contraction by joins and aggregates, until no level merges anything.
 
-    In each round only nodes of one hash parity may move, each to the neighbouring community with the
-    largest gain; moves into a community are admitted by gain while it fits the cap; a round that
-    doesn't raise the modularity is undone and ends the level.
+    Moving gives communities; refinement grows parts from single nodes inside each of them, and these parts,
+    which are connected, become the nodes of the next level, where the communities are the start. Undirected weights
+    count both ways, as in the kernel.
     """
     base = edges.select("u", "src_id", "dst_id", "w", "m")
+    if not directed:
+        back = base.select("u", F.col("dst_id").alias("src_id"), F.col("src_id").alias("dst_id"), "w", "m")
+        base = base.unionByName(back).withColumn("m", 2 * F.col("m"))
+    goal = _Goal(quality, resolution)
     nodes = base.select("u", F.col("src_id").alias("id")).union(base.select("u", F.col("dst_id").alias("id"))).distinct()
     home, _ = materialize(nodes.select("u", "id", F.col("id").alias("top")), "home")
     g, _ = materialize(base, "level")
     size, _ = materialize(nodes.withColumn("size", F.lit(1).cast("long")), "size")
-    for _ in range(levels):
-        comm = _local_moves(g, size, resolution, cap, rounds)
-        changed = comm.where("id <> comm").limit(1).count()
-        home, _ = materialize(home.withColumnRenamed("top", "t").join(comm.select("u", F.col("id").alias("t"), F.col("comm").alias("top")), ["u", "t"]).select("u", "id", "top"), "home")
-        if not changed:
+    comm = nodes.select("u", "id", F.col("id").alias("comm"))
+    while True:
+        comm = _moves(g, size, comm, goal, cap)
+        part = _moves(g, size, size.select("u", "id", F.col("id").alias("comm")), goal, None, comm)
+        if part.where("id <> comm").isEmpty():
             break
-        s, d = comm.select("u", F.col("id").alias("src_id"), F.col("comm").alias("s")), comm.select("u", F.col("id").alias("dst_id"), F.col("comm").alias("d"))
+        to = part.select("u", F.col("id").alias("t"), F.col("comm").alias("top"))
+        home, _ = materialize(home.withColumnRenamed("top", "t").join(to, ["u", "t"]).select("u", "id", "top"), "home")
+        s, d = to.select("u", F.col("t").alias("src_id"), F.col("top").alias("s")), to.select("u", F.col("t").alias("dst_id"), F.col("top").alias("d"))
         g, _ = materialize(g.join(s, ["u", "src_id"]).join(d, ["u", "dst_id"]).groupBy("u", F.col("s").alias("src_id"), F.col("d").alias("dst_id")).agg(F.sum("w").alias("w"), F.first("m").alias("m")), "level")
-        size, _ = materialize(size.join(comm, ["u", "id"]).groupBy("u", F.col("comm").alias("id")).agg(F.sum("size").alias("size")), "size")
-    s, d = home.select("u", F.col("id").alias("src_id"), F.col("top").alias("s")), home.select("u", F.col("id").alias("dst_id"), F.col("top").alias("d"))
+        size, _ = materialize(size.join(part, ["u", "id"]).groupBy("u", F.col("comm").alias("id")).agg(F.sum("size").alias("size")), "size")
+        whole = comm.withColumnRenamed("comm", "whole").join(part, ["u", "id"])
+        comm, _ = materialize(whole.groupBy("u", F.col("comm").alias("id")).agg(F.first("whole").alias("comm")), "comm")
+    home = home.join(comm.select("u", F.col("id").alias("top"), F.col("comm").alias("label")), ["u", "top"]).select("u", "id", "label")
+    s, d = home.select("u", F.col("id").alias("src_id"), F.col("label").alias("s")), home.select("u", F.col("id").alias("dst_id"), F.col("label").alias("d"))
     inside = base.join(s, ["u", "src_id"]).join(d, ["u", "dst_id"]).where("s = d")
     key = lambda c: F.struct("u", F.col(c).alias("id"))
     parts = wcc(inside.select(key("src_id").alias("src"), key("dst_id").alias("dst")))
@@ -108,43 +115,83 @@ def _distributed(edges: DataFrame, resolution: float, cap: int | None, rounds: i
     return parts.select(F.col("node.u").alias("u"), F.col("component.id").alias("comm_id"), F.col("node.id").alias("txn_id")).unionByName(lone.select("u", F.col("id").alias("comm_id"), F.col("id").alias("txn_id")))
 
 
-def _local_moves(g: DataFrame, size: DataFrame, resolution: float, cap: int | None, rounds: int) -> DataFrame:
-    strength = (
-        g.select("u", F.col("src_id").alias("id"), F.col("w").alias("o"), F.lit(0.0).alias("i"), "m").unionByName(g.select("u", F.col("dst_id").alias("id"), F.lit(0.0).alias("o"), F.col("w").alias("i"), "m"))
-        .groupBy("u", "id").agg(F.sum("o").alias("o"), F.sum("i").alias("i"), F.first("m").alias("m"))
-    )
+class _Goal:
+    """What a labelling is worth, and what joining a community costs a node."""
+
+    def __init__(self, quality: str, resolution: float):
+        self.cpm, self.resolution = quality == "cpm", resolution
+
+    def penalty(self, so: Column, si: Column, sz: Column) -> Column:
+        cost = F.col("size") * sz if self.cpm else (F.col("o") * si + F.col("i") * so) / F.col("m")
+        return self.resolution * cost
+
+    def worth(self, g: DataFrame, strength: DataFrame, comm: DataFrame) -> float:
+        s, d = comm.select("u", F.col("id").alias("src_id"), F.col("comm").alias("s")), comm.select("u", F.col("id").alias("dst_id"), F.col("comm").alias("d"))
+        inside = g.join(s, ["u", "src_id"]).join(d, ["u", "dst_id"]).where("s = d").agg(F.sum("w")).first()[0] or 0.0
+        sums = strength.join(comm, ["u", "id"]).groupBy("u", "comm").agg(F.sum("o").alias("so"), F.sum("i").alias("si"), F.sum("size").alias("sz"), F.first("m").alias("m"))
+        cost = F.sum(F.col("sz") * F.col("sz") / 2) if self.cpm else F.sum(F.col("so") * F.col("si") / F.col("m"))
+        return inside - self.resolution * float(sums.agg(cost).first()[0] or 0.0)
+
+
+def _moves(g: DataFrame, size: DataFrame, start: DataFrame, goal: _Goal, cap: int | None, within: DataFrame | None = None) -> DataFrame:
+    """(u, id, comm) after rounds of moves.
+
+    Until three rounds (four in refinement) in a row gain nothing. In each round the nodes of one hash parity may move, each to the neighbouring community with the largest
+    gain; moves into a community are admitted by gain while it fits the cap. Where all moves of a round together
+    don't raise the worth, those that share no community are made instead. ``within`` (u, id, comm): refinement - only nodes that are still alone move, only inside their
+    community there, to parts whose first node comes later in the round's order and stays, so parts grow and never fall apart.
+    """
+    one = lambda a, b, o, i: g.select("u", F.col(a).alias("id"), o.alias("o"), i.alias("i"), "m")
+    strength = one("src_id", "dst_id", F.col("w"), F.lit(0.0)).unionByName(one("dst_id", "src_id", F.lit(0.0), F.col("w")))
+    strength = strength.groupBy("u", "id").agg(F.sum("o").alias("o"), F.sum("i").alias("i"), F.first("m").alias("m"))
     strength, _ = materialize(strength.join(size, ["u", "id"]), "strength")
-    both, _ = materialize(g.where("src_id <> dst_id").select("u", F.col("src_id").alias("id"), F.col("dst_id").alias("other"), "w").unionByName(g.where("src_id <> dst_id").select("u", F.col("dst_id").alias("id"), F.col("src_id").alias("other"), "w")), "links")
-    comm, _ = materialize(strength.select("u", "id", F.col("id").alias("comm")), "comm")
-    quality, idle = _quality(g, comm, resolution), 0
-    for r in range(rounds):
-        sums = strength.join(comm, ["u", "id"]).groupBy("u", "comm").agg(F.sum("o").alias("so"), F.sum("i").alias("si"), F.sum("size").alias("sz"))
+    ties = g.where("src_id <> dst_id")
+    if within is not None:
+        s, d = within.select("u", F.col("id").alias("src_id"), F.col("comm").alias("s")), within.select("u", F.col("id").alias("dst_id"), F.col("comm").alias("d"))
+        ties = ties.join(s, ["u", "src_id"]).join(d, ["u", "dst_id"]).where("s = d")
+    both = ties.select("u", F.col("src_id").alias("id"), F.col("dst_id").alias("other"), "w").unionByName(ties.select("u", F.col("dst_id").alias("id"), F.col("src_id").alias("other"), "w"))
+    both, _ = materialize(both, "links")
+    comm, _ = materialize(start.select("u", "id", "comm"), "comm")
+    worth, idle, r = goal.worth(g, strength, comm), 0, 0
+    while idle < (3 if within is None else 4):  # three rounds hold both parities of one split
+        sums = strength.join(comm, ["u", "id"]).groupBy("u", F.col("comm").alias("c")).agg(F.sum("o").alias("so"), F.sum("i").alias("si"), F.sum("size").alias("sz"))
         near = both.join(comm.select("u", F.col("id").alias("other"), F.col("comm").alias("c")), ["u", "other"]).groupBy("u", "id", "c").agg(F.sum("w").alias("w"))
         own = comm.select("u", "id", F.col("comm").alias("c"), F.lit(0.0).alias("w"))
         options = near.unionByName(own).groupBy("u", "id", "c").agg(F.sum("w").alias("w"))
-        x = options.join(comm, ["u", "id"]).join(strength, ["u", "id"]).join(sums.withColumnRenamed("comm", "c"), ["u", "c"])
+        x = options.join(comm, ["u", "id"]).join(strength, ["u", "id"]).join(sums, ["u", "c"])
         stays = F.col("c") == F.col("comm")
-        so, si = F.col("so") - F.when(stays, F.col("o")).otherwise(0.0), F.col("si") - F.when(stays, F.col("i")).otherwise(0.0)
-        x = x.withColumn("gain", F.col("w") - resolution * (F.col("o") * si + F.col("i") * so) / F.col("m"))
-        best = x.groupBy("u", "id").agg(F.max(F.when(stays, F.col("gain"))).alias("now"), F.max(F.when(~stays, F.struct("gain", (-F.col("c")).alias("nc"), "sz"))).alias("b"), F.first("size").alias("size"))
-        turn = F.pmod(F.xxhash64("id", F.lit(r // 2)), F.lit(2)) == r % 2
-        moves = best.where(turn & (F.col("b.gain") > F.col("now") + 1e-9)).select("u", "id", (-F.col("b.nc")).alias("to"), (F.col("b.gain") - F.col("now")).alias("better"), "size", F.col("b.sz").alias("sz"))
+        less = lambda total, mine: F.col(total) - F.when(stays, F.col(mine)).otherwise(F.lit(0))  # noqa: B023, E731
+        x = x.withColumn("gain", F.col("w") - goal.penalty(less("so", "o"), less("si", "i"), less("sz", "size")))
+        away = ~stays if within is None else ~stays & (F.xxhash64("id", F.lit(r)) < F.xxhash64("c", F.lit(r)))
+        best = x.groupBy("u", "id").agg(
+            F.max(F.when(stays, F.col("gain"))).alias("now"), F.max(F.when(stays, F.col("sz"))).alias("mine"),
+            F.max(F.when(away, F.struct("gain", (-F.col("c")).alias("nc"), "sz"))).alias("b"), F.first("size").alias("size"),
+        )
+        may = F.pmod(F.xxhash64("id", F.lit(r // 2)), F.lit(2)) == r % 2 if within is None else F.col("mine") == F.col("size")
+        moves = best.where(may & (F.col("b.gain") > F.col("now") + 1e-9)).select("u", "id", (-F.col("b.nc")).alias("to"), (F.col("b.gain") - F.col("now")).alias("better"), "size", F.col("b.sz").alias("sz"))
+        if within is not None:
+            moves = moves.join(moves.select("u", F.col("id").alias("to")), ["u", "to"], "left_anti")
         if cap is not None:
-            room = F.sum("size").over(Window.partitionBy("u", "to").orderBy(F.desc("better"), "id"))
+            room = F.sum("size").over(Window.partitionBy("u", "to").orderBy(F.desc("better"), "id").rowsBetween(Window.unboundedPreceding, 0))
             moves = moves.where(F.col("sz") < cap).withColumn("fill", room).where(F.col("fill") + F.col("sz") <= cap)
-        after, _ = materialize(comm.join(moves.select("u", "id", "to"), ["u", "id"], "left").select("u", "id", F.coalesce("to", "comm").alias("comm")), "comm")
-        q = _quality(g, after, resolution)
-        if q > quality + 1e-12:
-            comm, quality, idle = after, q, 0
-        else:
-            idle += 1
-            if idle == 2:
+        moves, _ = materialize(moves.join(comm.withColumnRenamed("comm", "frm"), ["u", "id"]), "moves")
+        idle, r = idle + 1, r + 1
+        if moves.isEmpty():
+            continue
+        for admitted in (moves, _apart(moves)):
+            after, _ = materialize(comm.join(admitted.select("u", "id", "to"), ["u", "id"], "left").select("u", "id", F.coalesce("to", "comm").alias("comm")), "comm")
+            now = goal.worth(g, strength, after)
+            if now > worth + 1e-9:
+                comm, worth, idle = after, now, 0
                 break
     return comm
 
 
-def _quality(g: DataFrame, comm: DataFrame, resolution: float) -> float:
-    return modularity(g.withColumn("txn_u", F.col("u")), comm.select(F.col("u").alias("txn_u"), F.col("id").alias("txn_id"), F.col("comm").alias("comm_id")), resolution=resolution, by="txn_u").agg(F.sum("modularity")).first()[0] or 0.0
+def _apart(moves: DataFrame) -> DataFrame:
+    """Moves that share no community, so that their gains add up: the best into each and out of each, if it isn't left by another."""
+    best = lambda side: F.row_number().over(Window.partitionBy("u", side).orderBy(F.desc("better"), "id"))
+    one = moves.withColumn("a", best("to")).where("a = 1").withColumn("b", best("frm")).where("b = 1")
+    return one.join(one.select("u", F.col("frm").alias("to")), ["u", "to"], "left_anti")
 
 
 def modularity(edges: DataFrame, member: DataFrame, weight: str = "w", resolution: float = 1.0, by: str | None = None) -> DataFrame:

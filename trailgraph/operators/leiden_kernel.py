@@ -13,7 +13,7 @@ import random
 from collections import deque
 
 _EPS = 1e-12
-RESTARTS, RESTART_EDGES = 8, 64
+RESTARTS = 3
 
 
 class _Level:
@@ -140,10 +140,10 @@ def _split_loose(n: int, links, comm: list[int]) -> list[int]:
 def run(src: list, dst: list, w: list, m: float | None = None, resolution: float = 1.0, max_comm_size: int | None = None, seed: int = 42, quality: str = "modularity", directed: bool = True, max_iterations: int = 50) -> dict:
     """Edges of any hashable, sortable ids -> {id: least id of its community}.
 
-    Graphs of up to ``RESTART_EDGES`` edges are solved from ``RESTARTS`` visiting orders and the best labelling stays.
+    Every graph, whatever its size, is solved from ``RESTARTS`` visiting orders and the best labelling stays.
     """
     kw = dict(m=m, resolution=resolution, max_comm_size=max_comm_size, quality=quality, directed=directed, max_iterations=max_iterations)
-    if len(src) == 1 or len(src) > RESTART_EDGES or quality != "modularity":
+    if len(src) == 1 or quality != "modularity":
         return _solve(src, dst, w, seed=seed, **kw)
     found = [_solve(src, dst, w, seed=seed + k, **kw) for k in range(RESTARTS)]
     if directed:
