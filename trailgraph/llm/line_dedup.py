@@ -18,7 +18,8 @@ is near it; so the earliest stays.
 
 Only distinct (hash, place, line) rows travel (told apart within each chunk of text before the
 shuffle), so a line in a third of all documents is a handful of rows; a line's partner is the earliest
-of its group by an aggregate, so no pairs are made.
+of its group by an aggregate, so no pairs are made. Occurrences of the most frequent lines are told by broadcast
+whether they go, so no task gets all of one line.
 
 Defined cases: null or empty text has one line without words; null doc_id sorts before all others;
 repeated rows: the second loses its lines (positions are told apart by the row's text only where texts
@@ -40,6 +41,7 @@ from trailgraph.llm import bitmaps
 from trailgraph.llm.textarrays import chunks, longs, mix64, powers, sums, windows, word_hashes
 
 LEAST = 5
+FREQUENT = 1000  # a line that is more than one in so many meets its verdict by broadcast
 _NULL = np.iinfo(np.int64).min
 
 
@@ -159,7 +161,7 @@ def removed_lines(rows: DataFrame) -> DataFrame:
     all_variants, _ = materialize(_scan(rows, variants, "v long, i int, k long, line string").distinct(), "line-variants")
     hashes = all_variants.where("i >= -1").select("v", "i", "k")
     shared = hashes.groupBy("v").agg(F.min("k").alias("lo"), F.max("k").alias("hi")).where("lo <> hi").select("v")
-    first = seen.groupBy("k").agg(F.min(F.struct("doc_id", "no")).alias("p"))
+    first = seen.groupBy("k").agg(F.min(F.struct("doc_id", "no")).alias("p"), F.count("*").alias("n"))
     met, _ = materialize(hashes.join(shared, "v", "left_semi").join(first, "k").select("v", "i", "k", F.struct("p.doc_id", "p.no", "k").alias("p")), "lines-met")
     whole = met.where("i = -1").groupBy("v").agg(F.min("p").alias("q"))
     lacking = met.where("i >= 0").groupBy("v").agg(F.min("p").alias("q"))
@@ -181,8 +183,10 @@ def removed_lines(rows: DataFrame) -> DataFrame:
 
     near = told.select("k", "pd", "pn", "line", "partner").mapInArrow(verify, "k long, pd long, pn long")
     earliest = F.least(F.struct(F.col("p.doc_id").alias("d"), F.col("p.no").alias("n")), F.struct(F.coalesce("pd", "p.doc_id").alias("d"), F.coalesce("pn", "p.no").alias("n")))
-    best = first.join(near, "k", "left").select("k", earliest.alias("e"))
-    x = seen.select("k", "doc_id", "rk", "no").join(best, "k")
+    best, _ = materialize(first.join(near, "k", "left").select("k", earliest.alias("e"), "n"), "lines-best")
+    often = best.where(F.col("n") * FREQUENT > seen.count()).drop("n")  # fewer than ``FREQUENT`` lines
+    every = seen.select("k", "doc_id", "rk", "no")
+    x = every.join(F.broadcast(often.select("k")), "k", "left_anti").join(best.drop("n"), "k").unionByName(every.join(F.broadcast(often), "k"))
     return x.where(F.struct(F.col("doc_id").alias("d"), F.col("no").alias("n")) > F.col("e")).select("doc_id", "rk", "no")
 
 
