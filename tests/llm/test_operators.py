@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import math
 import pickle
 import random
 import re
@@ -207,6 +208,51 @@ def test_coder_packs_and_checks():
         idcoder.encode(np.arange(70_000, dtype=np.uint32))
 
 
+def _order0_bits(ids, block):
+    """What an adaptive order-0 coder needs that is begun anew in each block and escapes to the dictionary for new ids."""
+    kinds, bits = len(set(ids)), 0.0
+    for i in range(0, len(ids), block):
+        seen = collections.Counter()
+        for n, x in enumerate(ids[i : i + block]):
+            d = len(seen)
+            bits -= math.log2(seen[x] / (n + d)) if seen[x] else (math.log2(d / (n + d)) if n else 0) - math.log2(kinds)
+            seen[x] += 1
+    return bits
+
+
+def test_coder_beats_order_0_on_texts(corpus):
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(WORDS)
+    ids = np.array([i for x in corpus.text[:600] for i in [*t.encode(x or "", add_special_tokens=False).ids, 2]], np.uint32)
+    _, blocks, _ = idcoder.encode(ids)
+    assert 8 * sum(map(len, blocks)) < _order0_bits(ids.tolist(), idcoder.BLOCK)
+
+
+def test_mixing_weights_follow_what_events_cost():
+    r = np.random.default_rng(3)
+    model, first = idcoder.Model(2), None
+    for t in range(600):  # lane 0 repeats ten ids in turn, which contexts foresee; lane 1 has no order
+        code = np.array([t % 10, r.integers(0, 900)])
+        seen = model.look(2)
+        event = np.where(seen[2] == code, 0, np.where(seen[3] == code, 1, 2))
+        start, width, widths = model.share(seen, event)
+        assert (width > 0).all() and (model.mixed(seen)[np.arange(2), event] == start).all()
+        model.learn(seen, event, widths, code)
+        first = model.w.copy() if t == 0 else first
+    assert (model.w != first).any() and (model.w > 0).all() and (model.w.sum(0) <= 1 << 16).all()
+
+
+@pytest.mark.parametrize("lanes", [1, 2, 3])
+def test_lanes_of_a_long_group(monkeypatch, lanes):
+    ids = (np.random.default_rng(lanes).zipf(1.4, 5 * 4096 + 7) % 900).astype(np.uint32)
+    whole = idcoder.encode(ids)
+    monkeypatch.setattr(idcoder, "LANES", lanes)
+    known, blocks, crcs = idcoder.encode(ids)
+    assert blocks == whole[1]
+    assert (idcoder.decode(known, blocks, len(ids), crcs) == ids).all()
+
+
 def test_files_hold_the_library_ids(spark, docs, corpus, tmp_path):
     from tokenizers import Tokenizer
 

@@ -2,12 +2,18 @@
 
 A block is coded from a fresh model and checked by its own CRC, so any block can be read alone. For
 each id the model has an order-2 and an order-1 prediction (what followed the same two ids, or the
-same id, last time in this block) and an order-0 list of the block's ids by first appearance. One of
+same id, last time in this block) and an order-0 list of the block's ids by how often they were coded from it. One of
 16 events is coded - order-2 right, order-1 right, a new id, or the class (bit length) of the id's
-place in the order-0 list - followed by the bits that are left. Event probabilities are the mean of two
-adaptive distributions: one for how far both predictions have proved right, one for the whole block.
+place in the order-0 list - followed by the bits that are left.
+
+Three adaptive distributions predict the event: by how far both contexts have proved right, by how far
+the order-1 context has, and by the block alone. They are mixed by weights that each lane learns from
+what the events cost: a weight is multiplied by the probability that its distribution gave the event, and a
+small share of all weight is dealt out evenly, so that a distribution that was wrong can come back. All
+arithmetic is on integers, so writer and reader agree on every machine.
 
 Arithmetic coding: carry-less range coder with 64-bit low and range, 32-bit words, totals of 2^16.
+``LANES`` blocks at most are coded side by side, which bounds the memory of a group of any size.
 """
 
 from __future__ import annotations
@@ -16,11 +22,11 @@ import zlib
 
 import numpy as np
 
-BLOCK, EVENTS, SLOTS = 4096, 16, 4096
+BLOCK, EVENTS, SLOTS, LANES = 4096, 16, 4096, 1024
 NONE = 0xFFFF
 _U = np.uint64
 _W, _LOW = _U(32), _U(0xFFFFFFFF)
-_RATE = 5
+_RATE = 6
 _STEP = (1 << 16) // EVENTS
 _LENGTH = np.array([int(x).bit_length() for x in range(1 << 16)], np.uint8)
 
@@ -38,38 +44,91 @@ def _targets() -> np.ndarray:
 _PULL = _targets()
 
 
+_SHARED, _LEARNED = 1 << 9, (1 << 16) - 3 * (1 << 9)
+
+
 class Model:
-    """State of ``n`` lanes; reset by making a new one."""
+    """State of ``n`` lanes; reset by making a new one. The lanes in use are always the first ``m``."""
 
     def __init__(self, n: int):
-        self.n, self.lane = n, np.arange(n)
+        self.n = n
         self.t2, self.t1 = np.full(n * SLOTS, NONE, np.uint16), np.full(n * SLOTS, NONE, np.uint16)
         self.k2, self.k1 = np.zeros(n * SLOTS, np.uint8), np.zeros(n * SLOTS, np.uint8)
         start = np.arange(EVENTS, dtype=np.int32) * _STEP
-        self.by_state = np.tile(start, (n * 9, 1))
-        self.by_lane = np.tile(start, (n, 1))
+        self.by_both, self.by_one, self.by_lane = (np.tile(start, (n * k, 1)) for k in (9, 3, 1))
+        self.w = np.full((3, n), (1 << 16) // 3, np.int64)
         self.p1, self.p2 = np.zeros(n, np.int64), np.zeros(n, np.int64)
+        self.base, self.nine, self.three, self.row = np.arange(n) * SLOTS, np.arange(n) * 9, np.arange(n) * 3, np.arange(n) * EVENTS
+
+    def look(self, m: int) -> tuple:
+        """Slots, predictions, states and the three distributions (cumulative) of the next id in the first ``m`` lanes, and their weights."""
+        p1, p2 = self.p1[:m], self.p2[:m]
+        s2 = self.base[:m] + (((p2 * 40503 + p1 * 10007) * 2654435761 >> 16) & (SLOTS - 1))
+        s1 = self.base[:m] + ((p1 * 2654435761 >> 16) & (SLOTS - 1))
+        one = self.k1[s1]
+        both = self.nine[:m] + 3 * self.k2[s2] + one
+        one = self.three[:m] + one
+        w = self.w[:, :m] >> 8
+        w[2] = 256 - w[0] - w[1]
+        return s2, s1, self.t2[s2], self.t1[s1], both, one, (self.by_both[both], self.by_one[one], self.by_lane[:m]), w
+
+    def mixed(self, seen: tuple) -> np.ndarray:
+        """The cumulative distribution of the next event in every lane."""
+        (a, b, c), w = seen[6], seen[7].astype(np.int32)[:, :, None]
+        return (a * w[0] + b * w[1] + c * w[2]) >> 8
+
+    def share(self, seen: tuple, event: np.ndarray) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+        """Start and width of ``event`` in the mixture, and its width in each distribution."""
+        at, last = self.row[: len(event)] + event, event == EVENTS - 1
+        after = at + ~last
+        starts, ends = [], []
+        for cum in seen[6]:
+            flat = cum.reshape(-1)
+            starts.append(flat[at].astype(np.int64))
+            ends.append(np.where(last, 1 << 16, flat[after]).astype(np.int64))
+        w = seen[7]
+        start = (starts[0] * w[0] + starts[1] * w[1] + starts[2] * w[2]) >> 8
+        end = (ends[0] * w[0] + ends[1] * w[1] + ends[2] * w[2]) >> 8
+        return start, end - start, [e - s for s, e in zip(starts, ends)]
 
-    def look(self, lane: np.ndarray) -> tuple:
-        """Slots, predictions, state and cumulative frequencies of the next id in these lanes."""
-        p1, p2 = self.p1[lane], self.p2[lane]
-        s2 = lane * SLOTS + (((p2 * 40503 + p1 * 10007) * 2654435761 >> 16) & (SLOTS - 1))
-        s1 = lane * SLOTS + ((p1 * 2654435761 >> 16) & (SLOTS - 1))
-        state = lane * 9 + 3 * self.k2[s2] + self.k1[s1]
-        a, b = self.by_state[state], self.by_lane[lane]
-        return s2, s1, self.t2[s2], self.t1[s1], state, a, b, (a + b) >> 1
-
-    def learn(self, lane: np.ndarray, seen: tuple, event: np.ndarray, code: np.ndarray) -> None:
-        s2, s1, c2, c1, state, a, b, _ = seen
+    def learn(self, seen: tuple, event: np.ndarray, widths: list[np.ndarray], code: np.ndarray) -> None:
+        s2, s1, c2, c1, both, one, (a, b, c), _ = seen
+        m = len(code)
+        proved = self.w[:, :m] * np.stack(widths)
+        self.w[:, :m] = proved * _LEARNED // proved.sum(0) + _SHARED
         pull = _PULL[event]
-        self.by_state[state] = a + ((pull - a) >> _RATE)
-        self.by_lane[lane] = b + ((pull - b) >> _RATE)
+        self.by_both[both] = a + ((pull - a) >> _RATE)
+        self.by_one[one] = b + ((pull - b) >> _RATE)
+        c += (pull - c) >> _RATE
         self.k2[s2] = 1 + (c2 == code)
         self.k1[s1] = 1 + (c1 == code)
         self.t2[s2] = code
         self.t1[s1] = code
-        self.p2[lane] = self.p1[lane]
-        self.p1[lane] = code
+        self.p2[:m] = self.p1[:m]
+        self.p1[:m] = code
+
+
+class Ranks:
+    """Order-0 lists of ``n`` lanes: codes by falling count, so that a code's place follows its frequency.
+
+    ``above[c]`` is how many codes of the lane have a count over c, hence also where the codes of count c begin; one more
+    of a code changes places with the first of its count and moves that border by one.
+    """
+
+    def __init__(self, n: int):
+        self.codes, self.counts, self.above = (np.zeros((n, BLOCK + 1), np.uint16) for _ in range(3))
+
+    def count(self, lane: np.ndarray, code: np.ndarray, d: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """One more of ``code``, which is at place ``d`` (None: new). Gives its place now, and which code is at its old place."""
+        c = np.zeros(len(lane), np.int64) if d is None else self.counts[lane, d].astype(np.int64)
+        to = self.above[lane, c].astype(np.int64)
+        d = to if d is None else d
+        other = self.codes[lane, to]
+        self.codes[lane, d] = other
+        self.codes[lane, to] = code
+        self.counts[lane, to] = c + 1
+        self.above[lane, c] = to + 1
+        return to, other, d
 
 
 def _settle(low: np.ndarray, size: np.ndarray) -> np.ndarray:
@@ -135,11 +194,8 @@ class Reader:
         self.low[lane], self.size[lane], self.code[lane] = low, size, code
 
 
-def _widths(cum: np.ndarray, event: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    row = np.arange(len(event))
-    start = cum[row, event]
-    end = np.where(event == EVENTS - 1, 1 << 16, cum[row, np.minimum(event + 1, EVENTS - 1)])
-    return start, end - start
+def _crcs(ids: np.ndarray) -> np.ndarray:
+    return np.array([zlib.crc32(ids[i : i + BLOCK].tobytes()) for i in range(0, len(ids), BLOCK)], np.uint32)
 
 
 def encode(ids: np.ndarray) -> tuple[np.ndarray, list[bytes], np.ndarray]:
@@ -147,79 +203,89 @@ def encode(ids: np.ndarray) -> tuple[np.ndarray, list[bytes], np.ndarray]:
     known, codes = np.unique(ids, return_inverse=True)
     if len(known) > NONE - 1:
         raise ValueError("more than 65,534 distinct ids in a group")
-    bits = max(1, int(len(known) - 1).bit_length()) if len(known) else 1
-    n = -(-len(ids) // BLOCK)
-    crcs = np.array([zlib.crc32(ids[i * BLOCK : (i + 1) * BLOCK].tobytes()) for i in range(n)], np.uint32)
-    if not n:
-        return known, [], crcs
-    length = np.full(n, BLOCK)
-    length[-1] = len(ids) - BLOCK * (n - 1)
+    step = LANES * BLOCK
+    return known, [b for i in range(0, len(ids), step) for b in _encode_lanes(codes[i : i + step], len(known))], _crcs(ids)
+
+
+def _new_bits(kinds: int) -> int:
+    return max(1, int(kinds - 1).bit_length())
+
+
+def _encode_lanes(codes: np.ndarray, kinds: int) -> list[bytes]:
+    n, bits = -(-len(codes) // BLOCK), _new_bits(kinds)
+    final = len(codes) - BLOCK * (n - 1)
     x = np.zeros(n * BLOCK, np.int64)
-    x[: len(ids)] = codes
+    x[: len(codes)] = codes
     x = np.ascontiguousarray(x.reshape(n, BLOCK).T)
     model, writer = Model(n), Writer(n, BLOCK * 2 + 8)
-    place = np.full(n * len(known), NONE, np.uint16)
-    filled = np.zeros(n, np.int64)
-    every = np.arange(n)
-    for t in range(int(length.max())):
-        lane = every if t < length[-1] else every[:-1]
-        code = x[t][: len(lane)]
-        seen = model.look(lane)
-        spot = lane * len(known) + code
-        d = place[spot]
+    place, ranks = np.full(n * kinds, NONE, np.uint16), Ranks(n)
+    every, first = np.arange(n), np.arange(n) * kinds
+    for t in range(BLOCK if n > 1 else final):
+        m = n if t < final else n - 1
+        lane, code = every[:m], x[t, :m]
+        seen = model.look(m)
+        spot = first[:m] + code
+        d = place[spot].astype(np.int64)
         new = d == NONE
-        event = np.where(seen[2] == code, 0, np.where(seen[3] == code, 1, np.where(new, 2, 3 + _LENGTH[d.astype(np.int64) * ~new]))).astype(np.int64)
-        writer.put(lane, *_widths(seen[7], event))
+        event = np.where(seen[2] == code, 0, np.where(seen[3] == code, 1, np.where(new, 2, 3 + _LENGTH[d]))).astype(np.int64)
+        start, width, widths = model.share(seen, event)
+        writer.put(lane, start, width)
         extra = np.where(event == 2, bits, np.maximum(event - 4, 0))
-        rest = np.where(event == 2, code, d.astype(np.int64) - (1 << extra))
-        more = extra > 0
-        if more.any():
+        more = np.flatnonzero(extra)
+        if len(more):
+            rest = np.where(new[more], code[more], d[more] - (1 << extra[more]))
             left = 16 - extra[more]
-            writer.put(lane[more], rest[more] << left, np.int64(1) << left)
-        if new.any():
-            place[spot[new]] = filled[lane[new]]
-            filled[lane[new]] += 1
-        model.learn(lane, seen, event, code)
-    return known, writer.finish(), crcs
+            writer.put(more, rest << left, np.int64(1) << left)
+        if len(who := np.flatnonzero(event >= 3)):
+            to, other, old = ranks.count(who, code[who], d[who])
+            place[first[who] + other] = old
+            place[spot[who]] = to
+        if len(who := np.flatnonzero(new)):
+            place[spot[who]] = ranks.count(who, code[who])[0]
+        model.learn(seen, event, widths, code)
+    return writer.finish()
 
 
 def decode(known: np.ndarray, blocks: list[bytes], total: int, crcs: np.ndarray) -> np.ndarray:
     """The ids again; raises ValueError where a block's CRC doesn't fit."""
-    n = len(blocks)
-    if not n:
+    if not blocks:
         return np.zeros(0, np.uint32)
-    bits = max(1, int(len(known) - 1).bit_length())
-    length = np.full(n, BLOCK)
-    length[-1] = total - BLOCK * (n - 1)
+    step = LANES * BLOCK
+    parts = [_decode_lanes(blocks[i : i + LANES], min(step, total - i * BLOCK), len(known)) for i in range(0, len(blocks), LANES)]
+    ids = known[np.minimum(np.concatenate(parts), len(known) - 1)].astype(np.uint32)
+    if ((found := _crcs(ids)) != crcs).any():
+        raise ValueError(f"checksum of block {int(np.flatnonzero(found != crcs)[0])} does not fit")
+    return ids
+
+
+def _decode_lanes(blocks: list[bytes], total: int, kinds: int) -> np.ndarray:
+    n, bits = len(blocks), _new_bits(kinds)
+    final = total - BLOCK * (n - 1)
     model, reader = Model(n), Reader(blocks)
-    listed = np.zeros((n, BLOCK), np.int64)
-    filled = np.zeros(n, np.int64)
-    every = np.arange(n)
+    ranks, every = Ranks(n), np.arange(n)
     x = np.zeros((BLOCK, n), np.int64)
-    for t in range(int(length.max())):
-        lane = every if t < length[-1] else every[:-1]
-        seen = model.look(lane)
+    for t in range(BLOCK if n > 1 else final):
+        m = n if t < final else n - 1
+        lane = every[:m]
+        seen = model.look(m)
         value = reader.value(lane)
-        event = (seen[7] <= value[:, None]).sum(1) - 1
-        reader.skip(lane, *_widths(seen[7], event))
+        event = (model.mixed(seen) <= value[:, None]).sum(1) - 1
+        start, width, widths = model.share(seen, event)
+        reader.skip(lane, start, width)
         extra = np.where(event == 2, bits, np.maximum(event - 4, 0))
-        rest = np.zeros(len(lane), np.int64)
-        more = extra > 0
-        if more.any():
+        rest = np.zeros(m, np.int64)
+        more = np.flatnonzero(extra)
+        if len(more):
             left = 16 - extra[more]
-            got = reader.value(lane[more]).astype(np.int64) >> left
-            reader.skip(lane[more], got << left, np.int64(1) << left)
+            got = reader.value(more).astype(np.int64) >> left
+            reader.skip(more, got << left, np.int64(1) << left)
             rest[more] = got
-        d = np.where(event == 3, 0, rest + (1 << extra))
-        code = np.where(event == 0, seen[2], np.where(event == 1, seen[3], np.where(event == 2, rest, listed[lane, np.minimum(d, BLOCK - 1)]))).astype(np.int64)
-        new = event == 2
-        if new.any():
-            listed[lane[new], filled[lane[new]]] = code[new]
-            filled[lane[new]] += 1
-        model.learn(lane, seen, event, code)
-        x[t, : len(lane)] = code
-    ids = known[np.minimum(x.T.ravel()[:total], len(known) - 1)].astype(np.uint32)
-    found = np.array([zlib.crc32(ids[i * BLOCK : (i + 1) * BLOCK].tobytes()) for i in range(n)], np.uint32)
-    if (found != crcs).any():
-        raise ValueError(f"checksum of block {int(np.flatnonzero(found != crcs)[0])} does not fit")
-    return ids
+        d = np.where(event <= 3, 0, np.minimum(rest + (1 << extra), BLOCK - 1))
+        code = np.where(event == 0, seen[2], np.where(event == 1, seen[3], np.where(event == 2, rest, ranks.codes[lane, d]))).astype(np.int64)
+        if len(who := np.flatnonzero(event >= 3)):
+            ranks.count(who, code[who], d[who])
+        if len(who := np.flatnonzero(event == 2)):
+            ranks.count(who, code[who])
+        model.learn(seen, event, widths, code)
+        x[t, :m] = code
+    return x.T.ravel()[:total]
