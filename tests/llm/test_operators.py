@@ -153,6 +153,17 @@ def test_substrings_odd_rows(docs):
     assert kept == {0: "x y z", 1: "q"}
 
 
+def test_a_window_needs_both_hashes():
+    taken, state = substring._Taken(1), {"bucket": 0}
+    one, h = np.array([1], np.uint32), np.array([77], np.uint64).tobytes()
+    entry = lambda check, at: np.array([check << 32 | at], np.uint64)
+    for kind, i, spots in ((substring.FIRST, 1, np.array([5], np.uint32)), (substring.ALL, 2, entry(6, 30)), (substring.ALL, 3, entry(5, 40)), (substring.ALL, 1, entry(5, 0))):
+        assert not list(taken.step(state, kind, np.array([i]), np.array([0]), one, h, spots))
+    (batch,) = taken.finish()
+    (row,) = batch.to_pylist()
+    assert np.frombuffer(row["ids"], np.int64).tolist() == [3]
+
+
 # ---- 3 ----
 
 def test_piece_counts(docs, corpus):

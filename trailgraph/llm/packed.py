@@ -40,14 +40,14 @@ class Packer:
         self.buckets, self.rows, self.size = buckets, [], 0
 
     def add(self, kind: int, h: np.ndarray, doc: np.ndarray, ids: np.ndarray, keys: np.ndarray, wide: bool, spots: np.ndarray | None = None) -> None:
-        """Entries with hash h[k] of the document numbered doc[k] (ascending), whose id is ids[doc[k]]."""
+        """Entries with hash h[k] of the document numbered doc[k] (ascending), whose id is ids[doc[k]]; ``spots`` are unsigned and keep their width."""
         if not len(h):
             return
         b = bucket_of(h, self.buckets)
         order = np.argsort(b, kind="stable")
         b, doc = b[order], doc[order]
         h = h[order] if wide else h[order].astype(np.uint32)
-        spots = spots[order].astype(np.uint32) if spots is not None else None
+        spots = spots[order] if spots is not None else None
         new = np.ones(len(b), bool)
         new[1:] = (b[1:] != b[:-1]) | (doc[1:] != doc[:-1])
         run = np.flatnonzero(new)
@@ -67,15 +67,15 @@ class Packer:
 
 
 class Table:
-    """Distinct hashes of one bucket with the least and greatest document id seen for each."""
+    """Distinct hashes of one bucket with the least document id seen for each and the ``check`` that came with it."""
 
     def __init__(self, dtype):
-        self.h, self.lo, self.hi = np.zeros(0, dtype), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.h, self.lo, self.check = np.zeros(0, dtype), np.zeros(0, np.int64), np.zeros(0, np.uint32)
         self.waiting: list = []
         self.size = 0
 
-    def add(self, h: np.ndarray, ids: np.ndarray) -> None:
-        self.waiting.append((h, ids))
+    def add(self, h: np.ndarray, ids: np.ndarray, check: np.ndarray | None = None) -> None:
+        self.waiting.append((h, ids, np.zeros(len(h), np.uint32) if check is None else check))
         self.size += len(h)
         if self.size > max(1 << 18, len(self.h)):
             self.settle()
@@ -85,11 +85,12 @@ class Table:
             return
         h = np.concatenate([self.h, *(x[0] for x in self.waiting)])
         lo = np.concatenate([self.lo, *(x[1] for x in self.waiting)])
-        hi = np.concatenate([self.hi, *(x[1] for x in self.waiting)])
-        order = np.argsort(h, kind="stable")
+        check = np.concatenate([self.check, *(x[2] for x in self.waiting)])
+        order = np.argsort(lo, kind="stable")
+        order = order[np.argsort(h[order], kind="stable")]
         h = h[order]
         first = np.flatnonzero(np.append(True, h[1:] != h[:-1]))
-        self.h, self.lo, self.hi = h[first], np.minimum.reduceat(lo[order], first), np.maximum.reduceat(hi[order], first)
+        self.h, self.lo, self.check = h[first], lo[order[first]], check[order[first]]
         self.waiting, self.size = [], 0
 
     def find(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -105,7 +106,7 @@ def reduce_buckets(packed: DataFrame, width: int, reducer: Callable, schema: str
     """Stream every bucket through a reducer that is made anew for each task.
 
     ``step(state, kind, ids, keys, runs, hashes, spots)`` and, at the end, ``finish()`` give
-    RecordBatches; ``state`` is a dict that is new for every bucket.
+    RecordBatches; ``state`` is a dict that is new for every bucket and holds its number.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -114,9 +115,9 @@ def reduce_buckets(packed: DataFrame, width: int, reducer: Callable, schema: str
             for r in range(b.num_rows):
                 bucket, kind, ids, keys, runs, hashes, spots = (b.column(c)[r].as_py() for c in range(7))
                 if bucket != now:
-                    state, now = {}, bucket
+                    state, now = {"bucket": bucket}, bucket
                 ids, runs = unplanes(ids, np.int64), unplanes(runs, np.uint32)
-                yield from work.step(state, kind, ids, unplanes(keys, np.int64) if keys else None, runs, hashes, unplanes(spots, np.uint32) if spots else None)
+                yield from work.step(state, kind, ids, unplanes(keys, np.int64) if keys else None, runs, hashes, unplanes(spots, f"u{len(spots) // int(runs.sum())}") if spots else None)
         yield from work.finish()
 
     return packed.repartition(width, "bucket").sortWithinPartitions("bucket", "kind").mapInArrow(run, schema)

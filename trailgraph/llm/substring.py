@@ -6,14 +6,16 @@ a document with a smaller id (as the input stands). Steps:
 1. Anchors. Every document's non-overlapping blocks of ``BLOCK`` words are the index; every rolling
    ``BLOCK``-word window probes it. As 2 * BLOCK - 1 <= WINDOW, two equal windows always share an
    anchor: the block that lies whole in the one is hit by a probe of the other. Documents whose
-   anchors meet no other document are done.
-2. Extension. The rest send the hash of each window; windows with the same words meet, the least
-   document id wins, and neighbouring windows that are taken merge into maximal repeats.
+   anchors meet no other document are done; of the rest the anchors that were hit are known.
+2. Extension. A hit is extended to both sides by the windows that hold it, and by no others: each is looked up
+   among the windows round the hits of all documents, the least document id with that hash is fetched, and a
+   second hash of the words, from other bases, has to agree before anything is taken. Neighbouring windows
+   that are taken merge into maximal repeats.
 3. The words outside the repeats are joined again.
 
 Both meetings are packed (see ``packed``); hot passages are streamed and never form pairs. Between
-the steps only ids travel: a bitmap of fixed size says which texts may matter, and a join decides.
-Windows are told apart by 64 bits within a bucket named by other bits.
+the steps only hashes travel: bitmaps, sized by count up to a fixed bound, say which texts and which anchors may
+matter, and a meeting or a join decides. Windows are told apart by 96 bits: a collision of the first 64 alone removes nothing.
 
 Defined cases: null and empty texts have no words; a null id neither lends nor loses words; rows with
 the same id do not take words from each other; texts are used whole. An empty table gives no rows.
@@ -29,9 +31,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from trailgraph.functions.runtime import materialize, plan_bytes, shuffle_width
+from trailgraph.functions.runtime import materialize, shuffle_width
 from trailgraph.llm import bitmaps
-from trailgraph.llm.packed import ROW_SQL, Packer, Table, planes, reduce_buckets, unplanes
+from trailgraph.llm.packed import ROW_SQL, Packer, Table, bucket_of, planes, reduce_buckets, unplanes
 from trailgraph.llm.textarrays import chunks, longs, mix64, sums, windows, word_hashes
 
 WINDOW, BLOCK = 50, 25
@@ -47,17 +49,24 @@ def _row_hash(ids: np.ndarray, keys: np.ndarray) -> np.ndarray:
     return mix64(ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) ^ keys.astype(np.uint64))
 
 
-def _rolling(c, size: int, ids: np.ndarray, there: np.ndarray, least: int, which: int = 1):
-    """Window hashes of the documents of ``least`` words or more: hash, document, first word within it."""
+def _rolling(c, size: int, there: np.ndarray, least: int):
+    """Windows of ``size`` words of the documents of ``least`` words or more.
+
+    Word hashes, number of words, and each window's document, first word in the chunk and first word in the document.
+    """
     s, e, first = c.words()
     n = np.diff(first)
     usable = (n >= least) & there
     if not usable.any():
         return None
-    w = sums(word_hashes(c, s, e), which)
     doc = np.repeat(np.arange(c.n), np.where(usable, n - size + 1, 0))
     start = np.concatenate([np.arange(a, b - size + 1) for a, b, u in zip(first[:-1], first[1:], usable) if u])
-    return windows(w, start, start + size, which), doc, start - first[doc]
+    return word_hashes(c, s, e), doc, start, start - first[doc]
+
+
+def _anchor_marks(bucket: np.ndarray, low: np.ndarray) -> np.ndarray:
+    """Names of anchors, from what a packed meeting knows of their hashes."""
+    return mix64((bucket.astype(np.uint64) << np.uint64(32)) | low.astype(np.uint64))
 
 
 def _anchors(rows: DataFrame, buckets: int, window: int, block: int) -> DataFrame:
@@ -68,9 +77,10 @@ def _anchors(rows: DataFrame, buckets: int, window: int, block: int) -> DataFram
             keys, _ = longs(b.column(1))
             for c in chunks(b.column(2)):
                 i, k, t = (x[c.first : c.first + c.n] for x in (ids, keys, there))
-                if (got := _rolling(c, block, i, t, window)) is None:
+                if (got := _rolling(c, block, t, window)) is None:
                     continue
-                h, doc, at = got
+                words, doc, start, at = got
+                h = windows(sums(words, 1), start, start + block, 1)
                 index = at % block == 0
                 p.add(LEND, h[index], doc[index], i, k, False)
                 p.add(PROBE, h, doc, i, k, False)
@@ -82,7 +92,7 @@ def _anchors(rows: DataFrame, buckets: int, window: int, block: int) -> DataFram
 
 
 class _Meet:
-    """Documents whose probe hit the block of a smaller id, or whose block was hit by a larger one."""
+    """Documents whose probe hit the block of a smaller id, or whose block was hit by a larger one; and the anchors that were hit."""
 
     def step(self, state: dict, kind: int, ids, keys, runs, hashes, _spots) -> Iterator[pa.RecordBatch]:
         h = np.frombuffer(hashes, np.uint32)
@@ -95,39 +105,64 @@ class _Meet:
         table: Table = state["index"]
         at, there = table.find(h)
         at, doc = at[there], doc[there]
+        marks = np.zeros(0, np.uint64)
         if kind == PROBE:
             if "most" not in state:
                 state["most"] = np.full(len(table.h), np.iinfo(np.int64).min)
+                state["told"] = np.zeros(len(table.h), bool)
             np.maximum.at(state["most"], at, ids[doc])
-            hit = np.unique(doc[table.lo[at] < ids[doc]])
+            met = table.lo[at] < ids[doc]
+            hit, new = np.unique(doc[met]), np.unique(at[met])
+            new = new[~state["told"][new]]
+            state["told"][new] = True
+            marks = _anchor_marks(np.full(len(new), state["bucket"]), table.h[new])
         elif "most" in state:
             hit = np.unique(doc[state["most"][at] > ids[doc]])
         else:
             return
         if len(hit):
-            yield pa.RecordBatch.from_arrays([pa.array(_row_hash(ids[hit], keys[hit]).view(np.int64))], names=["row"])
+            row = np.concatenate([_row_hash(ids[hit], keys[hit]), marks])
+            anchor = np.arange(len(row)) >= len(hit)
+            yield pa.RecordBatch.from_arrays([pa.array(row.view(np.int64)), pa.array(anchor)], names=["mark", "anchor"])
 
     def finish(self) -> Iterator[pa.RecordBatch]:
         return iter(())
 
 
-def _extend(rows: DataFrame, buckets: int, window: int, bitmap) -> DataFrame:
+def _round_hits(words: np.ndarray, start: np.ndarray, window: int, block: int, buckets: int, hits: np.ndarray) -> np.ndarray:
+    """Which of the windows that begin at ``start`` hold an anchor that was hit."""
+    edge = np.zeros(len(words) + 2, np.int64)
+    np.add.at(edge, start, 1)
+    np.add.at(edge, start + window - block + 1, -1)
+    at = np.flatnonzero(np.cumsum(edge) > 0)
+    h = windows(sums(words, 1), at, at + block, 1)
+    flag = np.zeros(len(words) + 1, np.int64)
+    flag[at] = bitmaps.has(hits, _anchor_marks(bucket_of(h, buckets), h.astype(np.uint32)))
+    before = np.concatenate([[0], np.cumsum(flag)])
+    return before[start + window - block + 1] > before[start]
+
+
+def _extend(rows: DataFrame, buckets: int, window: int, block: int, near, hits) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         p = Packer(buckets)
         for b in batches:
             ids, there = longs(b.column(0))
             keys, _ = longs(b.column(1))
-            there = there & bitmaps.has(bitmap.value, _row_hash(ids, keys))
+            there = there & bitmaps.has(near.value, _row_hash(ids, keys))
             for c in chunks(b.column(2)):
                 i, k, t = (x[c.first : c.first + c.n] for x in (ids, keys, there))
-                if (got := _rolling(c, window, i, t, window, 2)) is None:
+                if (got := _rolling(c, window, t, window)) is None:
                     continue
-                h, doc, at = got
+                words, doc, start, at = got
+                some = _round_hits(words, start, window, block, buckets, hits.value)
+                doc, start, at = doc[some], start[some], at[some]
+                h = windows(sums(words, 2), start, start + window, 2)
+                check = windows(sums(words, 0), start, start + window, 0) >> np.uint64(32)
                 by = np.lexsort((i[doc], h))
-                one = by[np.append(True, h[by][1:] != h[by][:-1])]
+                one = by[np.append(True, h[by][1:] != h[by][:-1])] if len(by) else by
                 one.sort()
-                p.add(FIRST, h[one], doc[one], i, k, True)
-                p.add(ALL, h, doc, i, k, True, at)
+                p.add(FIRST, h[one], doc[one], i, k, True, check[one].astype(np.uint32))
+                p.add(ALL, h, doc, i, k, True, check << np.uint64(32) | at.astype(np.uint64))
                 yield from p.take()
         yield from p.take(0)
 
@@ -144,11 +179,12 @@ class _Taken:
         h = np.frombuffer(hashes, np.uint64)
         doc = np.repeat(np.arange(len(ids)), runs)
         if kind == FIRST:
-            state.setdefault("index", Table(np.uint64)).add(h, ids[doc])
+            state.setdefault("index", Table(np.uint64)).add(h, ids[doc], spots)
             return
-        at, there = state["index"].find(h)
-        hit = there & (state["index"].lo[at] < ids[doc])
-        self.held.append((ids[doc[hit]], keys[doc[hit]], spots[hit]))
+        table: Table = state["index"]
+        at, there = table.find(h)
+        hit = there & (table.lo[at] < ids[doc]) & (table.check[at] == spots >> np.uint64(32))
+        self.held.append((ids[doc[hit]], keys[doc[hit]], spots[hit].astype(np.uint32)))
         self.size += int(hit.sum())
         if self.size > 1 << 21:
             yield from self.finish()
@@ -223,9 +259,11 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     spark = rows.sparkSession
     width = shuffle_width(docs, 32 << 20, 2.0)
     buckets = 2 * width
-    flagged, _ = materialize(reduce_buckets(_anchors(rows, buckets, window, block), width, _Meet, "row long").distinct(), "anchors")
-    near = spark.sparkContext.broadcast(bitmaps.build(flagged, F.col("row")))
-    taken = reduce_buckets(_extend(rows, buckets, window, near), width, lambda: _Taken(buckets), _PARTS_SQL)
+    flagged, _ = materialize(reduce_buckets(_anchors(rows, buckets, window, block), width, _Meet, "mark long, anchor boolean").distinct(), "anchors")
+    met, total = flagged.where("anchor"), flagged.count()
+    hits = spark.sparkContext.broadcast(bitmaps.build(met, F.col("mark"), total))
+    near = spark.sparkContext.broadcast(bitmaps.build(flagged.where("not anchor"), F.col("mark"), total))
+    taken = reduce_buckets(_extend(rows, buckets, window, block, near, hits), width, lambda: _Taken(buckets), _PARTS_SQL)
     losing, _ = materialize(_by_document(taken, width), "repeats")
 
     digest = lambda words: hashlib.sha256(b" ".join(words)).hexdigest()
