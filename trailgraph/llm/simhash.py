@@ -8,7 +8,9 @@ shingles, repeats included. Search for pairs within ``BOUND`` bits:
    so that partitions are as independent of each other as can be.
 3. Partition i gets a threshold t_i >= -1 with sum t_i = BOUND - m + 1: a pair within BOUND is then
    within t_i of each other in some partition i. Dynamic programming finds the thresholds (and the
-   number of partitions m) with the least estimated cost; estimates come from all fingerprints.
+   number of partitions m) with the least estimated cost. Candidates at threshold 0 are not estimated but
+   counted, as the pairs of all fingerprints that agree on a partition; at threshold 1 the count grows as it would for
+   independent bits.
 4. Probing: a partition value and, for t_i = 1, its one-bit neighbours are join keys. Buckets of up to
    ``HOT`` fingerprints are verified pair by pair. Larger ones link every fingerprint to all points one bit away
    and meet there - two fingerprints are within two bits exactly if they share such a point - which
@@ -23,7 +25,7 @@ null; repeated rows are linked; an empty table gives no rows.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -120,8 +122,16 @@ def partitions(n: int, both: np.ndarray, m: int) -> list[list[int]]:
     return out
 
 
-def estimated_cost(n: int, p: np.ndarray, bits: list[int], t: int) -> float:
-    """Keys written plus pairs expected within t bits in this partition, bits taken as independent."""
+def agreeing_pairs(fps: DataFrame, groups: list[list[int]]) -> list[float]:
+    """How many pairs of the distinct fingerprints agree on all bits of each group; one row per group reaches the driver."""
+    keys = [F.struct(F.lit(k).alias("k"), _masked(F.col("fp"), g).alias("v")) for k, g in enumerate(groups)]
+    sizes = fps.select(F.explode(F.array(*keys)).alias("x")).groupBy("x.k", "x.v").agg(F.count("*").cast("double").alias("n"))
+    found = {r.k: r.pairs for r in sizes.groupBy("k").agg(F.sum(F.expr("n * (n - 1) / 2")).alias("pairs")).collect()}
+    return [found.get(k, 0.0) for k in range(len(groups))]
+
+
+def estimated_cost(n: int, p: np.ndarray, bits: list[int], t: int, agreeing: float) -> float:
+    """Keys written plus candidates within t bits in this partition, from the number of pairs that agree on it."""
     if t < 0:
         return 0.0
     near = np.zeros(t + 1)
@@ -129,7 +139,9 @@ def estimated_cost(n: int, p: np.ndarray, bits: list[int], t: int) -> float:
     for b in bits:
         d = 2 * p[b] * (1 - p[b])
         near = near * (1 - d) + np.concatenate([[0.0], near[:-1]]) * d
-    return n * sum(math.comb(len(bits), k) for k in range(t + 1)) + n * (n - 1) / 2 * near.sum()
+    expected = n * (n - 1) / 2 * near  # pairs at each distance if bits were independent
+    farther = expected[1:].sum() * max(1.0, agreeing / max(expected[0], 1e-300)) if agreeing else expected[1:].sum()
+    return n * sum(math.comb(len(bits), k) for k in range(t + 1)) + agreeing + min(farther, n * (n - 1) / 2)
 
 
 def allocate(cost: list[dict[int, float]], total: int) -> tuple[float, list[int]]:
@@ -145,16 +157,19 @@ def allocate(cost: list[dict[int, float]], total: int) -> tuple[float, list[int]
     return best[total]
 
 
-def plan(n: int, both: np.ndarray, bound: int = BOUND) -> list[tuple[list[int], int]]:
-    """(bits, threshold) of the partitions to probe, for the number of partitions that costs least."""
+def plan(n: int, both: np.ndarray, pairs: Callable[[list[list[int]]], list[float]], bound: int = BOUND) -> list[tuple[list[int], int]]:
+    """(bits, threshold) of the partitions to probe, for the number of partitions that costs least.
+
+    ``pairs`` counts the pairs that agree on each group of bits; it is asked once, for all groups of all divisions.
+    """
     p = np.diag(both) / max(n, 1)
+    divisions = [partitions(n, both, m) for m in range(1, bound + 2) if -m <= bound - m + 1 <= m]
+    counted = iter(pairs([g for groups in divisions for g in groups]))
     found = []
-    for m in range(1, bound + 2):
-        groups = partitions(n, both, m)
-        cost = [{t: estimated_cost(n, p, g, t) for t in (-1, 0, 1)} for g in groups]
-        if -m <= bound - m + 1 <= m:
-            v, ts = allocate(cost, bound - m + 1)
-            found.append((v, m, [(g, t) for g, t in zip(groups, ts) if t >= 0]))
+    for groups in divisions:
+        cost = [{t: estimated_cost(n, p, g, t, k) for t in (-1, 0, 1)} for g, k in zip(groups, counted)]
+        v, ts = allocate(cost, bound - len(groups) + 1)
+        found.append((v, len(groups), [(g, t) for g, t in zip(groups, ts) if t >= 0]))
     return min(found, key=lambda x: x[:2])[2]
 
 
@@ -173,7 +188,7 @@ def links(fps: DataFrame, bound: int = BOUND, hot: int = HOT) -> DataFrame:
         raise ValueError("the meeting points of large buckets serve a bound of two bits")
     n, both = bit_statistics(fps)
     keys = []
-    for k, (bits, t) in enumerate(plan(n, both, bound) if n else [([0], 0)]):
+    for k, (bits, t) in enumerate(plan(n, both, lambda groups: agreeing_pairs(fps, groups), bound) if n else [([0], 0)]):
         v = _masked(F.col("fp"), bits)
         keys.append(F.struct(F.lit(k).alias("k"), v.alias("v")))
         keys += [F.struct(F.lit(k).alias("k"), _flip(v, b).alias("v")) for b in bits if t == 1]
