@@ -355,6 +355,27 @@ def test_threshold_plans_keep_the_pigeonhole():
     assert simhash.allocate(cost, 0) == (2.0, [-1, 1])
 
 
+def test_plan_goes_by_counted_pairs(spark):
+    r = random.Random(1)
+    fps = sorted({r.getrandbits(60) << 4 | r.getrandbits(2) for _ in range(400)} | {(5 << 43) | r.getrandbits(20) for _ in range(100)})
+    df = spark.createDataFrame([(x - (1 << 64) if x >> 63 else x,) for x in fps], "fp long")
+    groups = [[0, 1, 2, 3], list(range(40, 64)), list(range(64))]
+    want = [sum((a ^ b) & sum(1 << x for x in g) == 0 for i, a in enumerate(fps) for b in fps[:i]) for g in groups]
+    assert simhash.agreeing_pairs(df, groups) == want and want[1] >= 4950
+    n, both = simhash.bit_statistics(df)
+    asked = []
+
+    def hot_first(groups):
+        asked.extend(groups)
+        return [1e12 if 0 in g else 0.0 for g in groups]
+
+    plan = simhash.plan(n, both, hot_first)
+    assert len(asked) == 5  # divisions in two and in three
+    assert not any(0 in bits for bits, _ in plan)  # the partition that all agree on is left out
+    m = 2 if max(len(b) for b, _ in plan) > 22 else 3
+    assert sum(t + 1 for _, t in plan) == 3 and m in (2, 3)
+
+
 def test_simhash_odd_rows(docs):
     d = docs(ODD, extra=True)
     got = {(r.doc_id, r.fp % (1 << 64)): r.component_id for r in simhash.components(d).collect()}
@@ -650,6 +671,20 @@ def test_mixed_rows(docs):
 
 # ---- 10 ----
 
+def _one_apart(a, b):
+    """By words from five words on, by characters below, from five characters on; plain dynamic programming."""
+    if max(len(a), len(b)) < 5:
+        a, b = (b" ".join(x).decode() for x in (a, b))
+    if min(len(a), len(b)) < 5 or abs(len(a) - len(b)) > 1:
+        return False
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row[0] = row[0], i
+        for j, y in enumerate(b, 1):
+            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+    return row[-1] <= 1
+
+
 def _lines(rows):
     first, occ = {}, []
     order = lambda d: -(1 << 63) if d is None else d
@@ -661,7 +696,7 @@ def _lines(rows):
     best = dict(first)
     for a in first:
         for b in first:
-            if a != b and len(a) >= 5 and len(b) >= 5 and line_dedup._near(list(a), list(b)):
+            if a != b and _one_apart(a, b):
                 best[a] = min(best[a], first[b])
     gone = collections.defaultdict(set)
     for d, t, j, w in occ:
@@ -693,6 +728,31 @@ def test_near_lines(docs, seed):
     assert got == _lines(rows)
 
 
+def test_typos_in_short_lines(docs):
+    r = random.Random(8)
+    base = ["Read more", "Über uns", "naïve", "abcde", "abcd", "Contact  us now", "See also this one", "a b c", "x" * 70]
+
+    def typo(x):
+        for _ in range(r.choice([0, 1, 1, 2])):
+            i = r.randrange(len(x) + 1)
+            x = r.choice([x[:i] + x[i + 1 :], x[:i] + "é" + x[i:], x[:i] + "q" + x[i + 1 :], x[:i] + " " + x[i:]])
+        return x
+
+    rows = [(d, "\n".join(typo(r.choice(base)) for _ in range(r.randrange(6)))) for d in r.sample(range(500), 50)]
+    rows += [(900, "Home page"), (901, "Home pages\nhomepage"), (902, "Home  pagE\nabcd"), (903, "abce\none two three four five"), (904, "one two three four")]
+    got = by_id(line_dedup.deduplicate(docs(rows)), "doc_id", "n_lines", "n_removed", "kept_sha256")
+    assert got == _lines(rows)
+
+
+def test_all_partners_are_tried_where_the_first_fails(docs):
+    """As if the earliest partner's hash had collided: it fails the check, and a later one counts."""
+    right = line_dedup._near
+    rows = line_dedup._rows(docs([(1, "BAD a b c d e"), (2, "NEAR a b c d e"), (3, "then a b c d e"), (4, "quite another line than these")]), "doc_id", "text")
+    assert sorted(r.doc_id for r in line_dedup.removed_lines(rows).collect()) == [2, 3]
+    refuse = lambda a, b: b"BAD" not in (*a, *b) and right(a, b)
+    assert [r.doc_id for r in line_dedup.removed_lines(rows, refuse).collect()] == [3]
+
+
 def test_near_lines_odd_rows(docs):
     d = docs(ODD, extra=True)
     assert by_id(line_dedup.deduplicate(d), "doc_id", "n_lines", "n_removed", "kept_sha256") == _lines([r[:2] for r in ODD])

@@ -1,19 +1,21 @@
 """Operator 10: near-duplicate lines by a deletion-neighbourhood join.
 
 A line is what stands between two line feeds, as its sequence of words; lines without a word are left
-alone. Two lines are near duplicates if one word-level edit (insertion, deletion or substitution)
-turns one into the other and both have ``LEAST`` words or more (0.8 similarity at least); shorter
-lines must be equal. A line goes if an earlier line - by (doc_id, line number), as the input stands - equals it or
+alone. Two lines are near duplicates if one edit (insertion, deletion or substitution) turns one into
+the other: of a word where both have ``LEAST`` words or more, of a character where both have fewer
+words and, joined by single blanks, ``LEAST`` characters or more (0.8 similarity at least either way). Lines shorter
+still must be equal. As a changed letter is a changed word, typos in long lines are among the word edits. A line goes if an earlier line - by (doc_id, line number), as the input stands - equals it or
 is near it; so the earliest stays.
 
 1. Screening. One edit leaves the first or the last half of the shorter line as it is. Lines whose
    halves meet no other line are done; a bitmap of fixed size, filled with the halves that lines
    share, carries the rest to the next scan.
 2. Neighbourhood. Each remaining distinct line emits the hash of itself and of itself without its
-   i-th word, for every i. Equal hashes join: a line meets a longer one where it equals a deletion of it,
+   i-th word or character, for every i. Equal hashes join: a line meets a longer one where it equals a deletion of it,
    and a line of its length where both lack the same place i.
 3. Verification. For each line the earliest partner is fetched and the edit distance is worked out.
-   A line whose partner fails it (a collision of 64-bit hashes) stays.
+   Where it fails (a collision of 64-bit hashes) all partners of that line are fetched and the earliest that
+   passes counts.
 4. Lines that go are cut out of their documents.
 
 Only distinct (hash, place, line) rows travel (told apart within each chunk of text before the
@@ -29,7 +31,7 @@ differ, so identical rows with the same id count as one); an empty table gives n
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -43,6 +45,7 @@ from trailgraph.llm.textarrays import chunks, longs, mix64, powers, sums, window
 LEAST = 5
 FREQUENT = 1000  # a line that is more than one in so many meets its verdict by broadcast
 _NULL = np.iinfo(np.int64).min
+_CHARACTER = np.uint64(0x5851F42D4C957F2D)  # keeps characters apart from words
 
 
 class Lines:
@@ -64,12 +67,35 @@ class Lines:
         self.key = windows(self.prefix, self.at, self.to, 1)
         self.n = self.to - self.at
 
+    def words(self) -> Units:
+        """The lines of ``LEAST`` words or more, by words."""
+        return Units(np.flatnonzero(self.n >= LEAST), self.prefix, self.at, self.to, self.key)
+
+    def characters(self, c) -> Units:
+        """The other lines, by characters: their words joined by single blanks. Places are those of all lines of the chunk."""
+        s, e, _ = c.words()
+        length, parts = np.zeros(len(self.at), np.int64), []
+        for x in np.flatnonzero(self.n < LEAST).tolist():
+            line = b" ".join(c.data[s[i] : e[i]].tobytes() for i in range(self.at[x], self.to[x]))
+            parts.append(np.frombuffer(line.decode("utf-8", "replace").encode("utf-32-le"), np.uint32))
+            length[x] = len(parts[-1])
+        values = np.concatenate(parts) if parts else np.zeros(0, np.uint32)
+        prefix, to = sums(mix64(values.astype(np.uint64) + _CHARACTER), 1), np.cumsum(length)
+        at = to - length
+        return Units(np.flatnonzero(length >= LEAST), prefix, at, to, windows(prefix, at, to, 1))
+
+
+class Units:
+    """Lines ``which`` as sequences of hashed words or characters: ``prefix`` their sums, ``whole`` the hash of each line."""
+
+    def __init__(self, which, prefix, at, to, whole):
+        self.which, self.prefix, self.at, self.to, self.whole = which, prefix, at, to, whole
+
     def halves(self) -> tuple[np.ndarray, np.ndarray]:
-        """(place in these lines, hash) of the first and last half for a partner as long or one word shorter."""
-        which = np.flatnonzero(self.n >= LEAST)
-        out = []
+        """(place of the line, hash) of the first and last half for a partner as long or one unit shorter."""
+        which, out = self.which, []
         for less in (0, 1):
-            m = self.n[which] - less
+            m = self.to[which] - self.at[which] - less
             k = m // 2
             tag = mix64(m.astype(np.uint64) * np.uint64(2))
             out.append(windows(self.prefix, self.at[which], self.at[which] + k, 1) ^ tag)
@@ -77,8 +103,8 @@ class Lines:
         return np.tile(which, 4), mix64(np.concatenate(out))
 
     def neighbours(self, which: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(place in these lines, word left out or -1, hash) of every variant of the lines ``which``."""
-        n = self.n[which]
+        """(place of the line, unit left out or -1, hash) of every variant of the lines ``which``."""
+        n = self.to[which] - self.at[which]
         line = np.repeat(which, n)
         begin = np.cumsum(n) - n
         i = np.arange(n.sum()) - np.repeat(begin, n)
@@ -87,7 +113,7 @@ class Lines:
         left = self.prefix[a + i] - self.prefix[a]
         right = (self.prefix[b] - self.prefix[a + i + 1]) * inverse[1]
         h = mix64((left + right) * inverse[a] + (b - a - 1).astype(np.uint64) * np.uint64(0x9FB21C651E98DF25))
-        return np.concatenate([which, line]), np.concatenate([np.full(len(which), -1), i]), np.concatenate([self.key[which], h])
+        return np.concatenate([which, line]), np.concatenate([np.full(len(which), -1), i]), np.concatenate([self.whole[which], h])
 
 
 def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -113,10 +139,16 @@ def _scan(rows: DataFrame, make, schema: str) -> DataFrame:
     return rows.mapInArrow(run, schema)
 
 
-def _near(a: list[str], b: list[str]) -> bool:
-    """Whether one word-level edit at most turns a into b."""
-    if abs(len(a) - len(b)) > 1:
-        return False
+def _near(a: list[bytes], b: list[bytes]) -> bool:
+    """Whether one edit at most turns the words a into b: of a word, or of a character where both are short."""
+    if max(len(a), len(b)) < LEAST:
+        return _one_edit(*(b" ".join(x).decode("utf-8", "replace") for x in (a, b)))
+    return min(len(a), len(b)) >= LEAST and _one_edit(a, b)
+
+
+def _one_edit(a, b) -> bool:
+    if abs(len(a) - len(b)) > 1 or min(len(a), len(b)) < LEAST:
+        return a == b
     i = 0
     while i < min(len(a), len(b)) and a[i] == b[i]:
         i += 1
@@ -126,18 +158,18 @@ def _near(a: list[str], b: list[str]) -> bool:
     return max(len(a), len(b)) - i - j <= 1
 
 
-def removed_lines(rows: DataFrame) -> DataFrame:
-    """(doc_id, rk, no): numbers of the lines that go."""
+def removed_lines(rows: DataFrame, near: Callable[[list[bytes], list[bytes]], bool] = _near) -> DataFrame:
+    """(doc_id, rk, no): numbers of the lines that go; ``near`` verifies two lines whose variants met."""
 
-    def occurrences(x: Lines, ids, rk, _c):
+    def occurrences(x: Lines, ids, rk, c):
         if not len(x.at):
             return None
-        at, h = x.halves()
-        ends = np.zeros((len(x.at), 4), np.int64)
-        ends[at.reshape(4, -1)[0]] = h.view(np.int64).reshape(4, -1).T
-        long_enough = x.n >= LEAST
-        offsets = np.concatenate([[0], np.cumsum(np.where(long_enough, 4, 0))]).astype(np.int32)
-        halves = pa.ListArray.from_arrays(pa.array(offsets), pa.array(ends[long_enough].ravel()))
+        ends, screened = np.zeros((len(x.at), 4), np.int64), np.zeros(len(x.at), bool)
+        for units in (x.words(), x.characters(c)):
+            _, h = units.halves()
+            ends[units.which], screened[units.which] = h.view(np.int64).reshape(4, -1).T, True
+        offsets = np.concatenate([[0], np.cumsum(np.where(screened, 4, 0))]).astype(np.int32)
+        halves = pa.ListArray.from_arrays(pa.array(offsets), pa.array(ends[screened].ravel()))
         return pa.RecordBatch.from_arrays([_i64(x.key), _i64(ids[x.doc]), _i64(rk[x.doc]), _i64(x.no), halves], names=["k", "doc_id", "rk", "no", "h"])
 
     spark = rows.sparkSession
@@ -146,17 +178,21 @@ def removed_lines(rows: DataFrame) -> DataFrame:
     met_half = spark.sparkContext.broadcast(bitmaps.build(ends, F.col("h")))
 
     def variants(x: Lines, ids, _rk, c):
-        """Hashes of lines that share a half with another, whole (-1) and without word i; and their words (-2)."""
-        at, h = x.halves()
-        which = np.unique(at[bitmaps.has(met_half.value, h)])
-        if not len(which):
-            return None
-        which = which[np.unique(x.key[which], return_index=True)[1]]
-        at, left_out, h = x.neighbours(which)
+        """Hashes of lines that share a half with another, whole (-1) and without unit i; and their words (-2)."""
+        found, texts = [], {}
         s, e, _ = c.words()
-        words = [c.data[s[a] : e[b - 1]].tobytes().decode("utf-8", "replace") for a, b in zip(x.at[which], x.to[which])]
-        v, i, k = np.concatenate([x.key[which], h]), np.concatenate([np.full(len(which), -2), left_out]), np.concatenate([x.key[which], x.key[at]])
-        return pa.RecordBatch.from_arrays([_i64(v), pa.array(i.astype(np.int32)), _i64(k), pa.array(words + [None] * len(h), pa.string())], names=["v", "i", "k", "line"])
+        for units in (x.words(), x.characters(c)):
+            at, h = units.halves()
+            which = np.unique(at[bitmaps.has(met_half.value, h)])
+            which = which[np.unique(x.key[which], return_index=True)[1]]
+            texts.update((j, c.data[s[x.at[j]] : e[x.to[j] - 1]].tobytes().decode("utf-8", "replace")) for j in which.tolist())
+            found.append(units.neighbours(which))
+        if not texts:
+            return None
+        at, left_out, h = (np.concatenate(y) for y in zip(*found))
+        lines = np.array(list(texts), np.int64)
+        v, i, k = np.concatenate([x.key[lines], h]), np.concatenate([np.full(len(lines), -2), left_out]), np.concatenate([x.key[lines], x.key[at]])
+        return pa.RecordBatch.from_arrays([_i64(v), pa.array(i.astype(np.int32)), _i64(k), pa.array([*texts.values()] + [None] * len(h), pa.string())], names=["v", "i", "k", "line"])
 
     all_variants, _ = materialize(_scan(rows, variants, "v long, i int, k long, line string").distinct(), "line-variants")
     hashes = all_variants.where("i >= -1").select("v", "i", "k")
@@ -166,24 +202,34 @@ def removed_lines(rows: DataFrame) -> DataFrame:
     whole = met.where("i = -1").groupBy("v").agg(F.min("p").alias("q"))
     lacking = met.where("i >= 0").groupBy("v").agg(F.min("p").alias("q"))
     same_place = met.where("i >= 0").groupBy("v", "i").agg(F.min("p").alias("q"))
-    found = (
-        met.where("i = -1").join(lacking, "v").select("k", "q")
-        .union(met.where("i >= 0").join(whole, "v").select("k", "q"))
-        .union(met.where("i >= 0").join(same_place, ["v", "i"]).select("k", "q"))
-        .where("q.k <> k").groupBy("k").agg(F.min("q").alias("q"))
+    meetings = lambda mine, whole, lacking, same_place: (
+        mine.where("i = -1").join(lacking, "v").select("k", "q")
+        .union(mine.where("i >= 0").join(whole, "v").select("k", "q"))
+        .union(mine.where("i >= 0").join(same_place, ["v", "i"]).select("k", "q"))
+        .where("q.k <> k")
     )
-    pairs = found.select("k", F.col("q.doc_id").alias("pd"), F.col("q.no").alias("pn"), F.col("q.k").alias("pk"))
+    found = meetings(met, whole, lacking, same_place).groupBy("k").agg(F.min("q").alias("q"))
     lines = all_variants.where("i = -2").groupBy("k").agg(F.min("line").alias("line"))
-    told = pairs.join(lines, "k").join(lines.select(F.col("k").alias("pk"), F.col("line").alias("partner")), "pk")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ok = [_near(x.encode().split(), y.encode().split()) for x, y in zip(b.column(3).to_pylist(), b.column(4).to_pylist())]
-            yield pa.RecordBatch.from_arrays([b.column(k) for k in range(3)], names=["k", "pd", "pn"]).filter(pa.array(ok, pa.bool_()))
-
-    near = told.select("k", "pd", "pn", "line", "partner").mapInArrow(verify, "k long, pd long, pn long")
+            ok = [near(x.encode().split(), y.encode().split()) for x, y in zip(b.column(3).to_pylist(), b.column(4).to_pylist())]
+            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in range(3)), pa.array(ok, pa.bool_())], names=["k", "pd", "pn", "ok"])
+
+    def verified(found: DataFrame) -> DataFrame:
+        pairs = found.select("k", F.col("q.doc_id").alias("pd"), F.col("q.no").alias("pn"), F.col("q.k").alias("pk"))
+        told = pairs.join(lines, "k").join(lines.select(F.col("k").alias("pk"), F.col("line").alias("partner")), "pk")
+        return told.select("k", "pd", "pn", "line", "partner").mapInArrow(verify, "k long, pd long, pn long, ok boolean")
+
+    first_tried, _ = materialize(verified(found), "lines-verified")
+    passed = first_tried.where("ok").drop("ok")
+    if not (failed := first_tried.where("not ok").select("k")).isEmpty():  # only where 64-bit hashes collide
+        each = [met.where(w).select("v", *by, F.col("p").alias("q")) for w, by in (("i = -1", []), ("i >= 0", []), ("i >= 0", ["i"]))]
+        every = verified(meetings(met.join(failed, "k", "left_semi"), *each).distinct()).where("ok")
+        again = every.groupBy("k").agg(F.min(F.struct("pd", "pn")).alias("x")).select("k", F.col("x.pd").alias("pd"), F.col("x.pn").alias("pn"))
+        passed = passed.unionByName(again)
     earliest = F.least(F.struct(F.col("p.doc_id").alias("d"), F.col("p.no").alias("n")), F.struct(F.coalesce("pd", "p.doc_id").alias("d"), F.coalesce("pn", "p.no").alias("n")))
-    best, _ = materialize(first.join(near, "k", "left").select("k", earliest.alias("e"), "n"), "lines-best")
+    best, _ = materialize(first.join(passed, "k", "left").select("k", earliest.alias("e"), "n"), "lines-best")
     often = best.where(F.col("n") * FREQUENT > seen.count()).drop("n")  # fewer than ``FREQUENT`` lines
     every = seen.select("k", "doc_id", "rk", "no")
     x = every.join(F.broadcast(often.select("k")), "k", "left_anti").join(best.drop("n"), "k").unionByName(every.join(F.broadcast(often), "k"))
