@@ -116,6 +116,20 @@ def test_distributed_engine(spark):
     assert capped <= 2
 
 
+def test_distributed_engine_ends_in_few_jobs_with_the_kernels_quality(spark, monkeypatch):
+    monkeypatch.setattr(community, "PACK", 300)  # packs far smaller than the component
+    rows = [(6 * c + i, 6 * c + j, 1.0) for c in range(120) for i in range(6) for j in range(i + 1, 6)]
+    rows += [(6 * c, (6 * c + 6 * k) % 720, 0.2) for c in range(120) for k in (1, 7, 31)]
+    e = spark.createDataFrame(rows, "src_id long, dst_id long, w double").cache()
+    spark.sparkContext.setJobGroup("levels", "levels")
+    large = community.detect(e, task_limit=600).cache()
+    assert large.count() == 720 == large.select("txn_id").distinct().count()
+    spark.sparkContext.setJobGroup("", "")
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("levels")) < 300
+    worth = lambda m: community.modularity(e, m).first()[0]
+    assert worth(large) > 0.99 * worth(community.detect(e, engine="kernel"))
+
+
 def test_window_mass_counts_for_every_component(spark):
     tri = [(1, 2), (2, 3), (1, 3), (4, 5), (5, 6), (4, 6), (3, 4)]
     rows = [(a + k, b + k, 1.0) for k in (0, 10) for a, b in tri]

@@ -137,12 +137,12 @@ def _split_loose(n: int, links, comm: list[int]) -> list[int]:
     return label
 
 
-def run(src: list, dst: list, w: list, m: float | None = None, resolution: float = 1.0, max_comm_size: int | None = None, seed: int = 42, quality: str = "modularity", directed: bool = True, max_iterations: int = 50) -> dict:
+def run(src: list, dst: list, w: list, m: float | None = None, resolution: float = 1.0, max_comm_size: int | None = None, seed: int = 42, quality: str = "modularity", directed: bool = True, max_iterations: int = 50, size: dict | None = None) -> dict:
     """Edges of any hashable, sortable ids -> {id: least id of its community}.
 
-    Every graph, whatever its size, is solved from ``RESTARTS`` visiting orders and the best labelling stays.
+    Every graph, whatever its size, is solved from ``RESTARTS`` visiting orders and the best labelling stays. ``size``: how many original nodes each id stands for (1).
     """
-    kw = dict(m=m, resolution=resolution, max_comm_size=max_comm_size, quality=quality, directed=directed, max_iterations=max_iterations)
+    kw = dict(m=m, resolution=resolution, max_comm_size=max_comm_size, quality=quality, directed=directed, max_iterations=max_iterations, size=size)
     if len(src) == 1 or quality != "modularity":
         return _solve(src, dst, w, seed=seed, **kw)
     found = [_solve(src, dst, w, seed=seed + k, **kw) for k in range(RESTARTS)]
@@ -152,7 +152,7 @@ def run(src: list, dst: list, w: list, m: float | None = None, resolution: float
     return max(found, key=lambda lab: round(modularity(s, d, x, lab, None if m is None else 2 * m, resolution), 12))
 
 
-def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, max_comm_size: int | None, seed: int, quality: str, directed: bool, max_iterations: int) -> dict:
+def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, max_comm_size: int | None, seed: int, quality: str, directed: bool, max_iterations: int, size: dict | None = None) -> dict:
     names = sorted({*src, *dst})
     at = {x: i for i, x in enumerate(names)}
     n = len(names)
@@ -174,7 +174,7 @@ def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, ma
         return {x: x for x in names}
     penalty = _penalty(quality, resolution, m)
     rng = random.Random(f"{seed}:{names[0]}")
-    g, comm, home = _Level(links, out, inn, [1] * n), list(range(n)), list(range(n))
+    g, comm, home = _Level(links, out, inn, [1] * n if size is None else [int(size[x]) for x in names]), list(range(n)), list(range(n))
     for _ in range(max_iterations):
         order = list(range(g.n))
         rng.shuffle(order)
@@ -201,6 +201,30 @@ def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, ma
     return {names[i]: names[least[flat[i]]] for i in range(n)}
 
 
+def parts(nodes, edges, m: float, resolution: float, max_comm_size: int | None, seed: int, quality: str) -> list:
+    """One level over a pack of a larger graph: the part (an id) of each row of ``nodes`` (id, o, i, size).
+
+    ``nodes`` is sorted by id and has the strengths of the whole graph; ``edges`` (src_id, dst_id, w) are those inside the pack.
+    """
+    names = nodes["id"].tolist()
+    at = {x: i for i, x in enumerate(names)}
+    links: list[dict[int, float]] = [{} for _ in names]
+    for s, d, x in zip(edges["src_id"].tolist(), edges["dst_id"].tolist(), edges["w"].tolist()):
+        i, j = at[s], at[d]
+        links[i][j] = links[i].get(j, 0.0) + x
+        links[j][i] = links[j].get(i, 0.0) + x
+    g, penalty = _Level(links, nodes["o"].tolist(), nodes["i"].tolist(), nodes["size"].tolist()), _penalty(quality, resolution, m)
+    rng = random.Random(f"{seed}:{names[0]}")
+    comm, order = list(range(g.n)), list(range(g.n))
+    rng.shuffle(order)
+    _move(g, comm, order, penalty, max_comm_size)
+    rng.shuffle(order)
+    part = _refine(g, comm, order, penalty)
+    if len(set(part)) == g.n:
+        part = _split_loose(g.n, links, comm)
+    return [names[p] for p in part]
+
+
 def modularity(src: list, dst: list, w: list, labels: dict, m: float | None = None, resolution: float = 1.0) -> float:
     """Directed modularity of a labelling."""
     m = sum(w) if m is None else m
