@@ -95,6 +95,17 @@ def test_scan_reads_only_what_it_needs(spark, sf):
     assert "IsNotNull(user_id)" in scan[scan.index("PushedFilters"):]
 
 
+def test_theta_join_compares_only_blocks_that_can_meet(spark):
+    s = spark.range(400).selectExpr("id as src_id", "id % 40 as b", "id * 7 as us")
+    t = spark.range(400).selectExpr("id as dst_id", "id % 36 as b2", "id * 7 + 3 as ud")
+    got = temporal.theta_join(s, t, 100, 4)
+    plain = s.join(t, (F.abs(F.col("b") - F.col("b2")) < 1) & (F.col("us") < F.col("ud")) & (F.col("ud") < F.col("us") + 100))
+    ids = lambda x: sorted(map(tuple, x.select("src_id", "dst_id").collect()))
+    assert ids(got) == ids(plain) and len(ids(plain)) > 100
+    names = got._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastNestedLoopJoin" in names and names.count("HashAggregate") >= 4  # over blocks, not over rows
+
+
 def test_communities_do_not_depend_on_partitions(spark, edges):
     w = second_order.weigh_and_prune(edges, 0.5)
     a = {tuple(r) for r in community.detect(w).select("comm_id", "txn_id").collect()}
