@@ -106,6 +106,22 @@ def test_theta_join_compares_only_blocks_that_can_meet(spark):
     assert "BroadcastNestedLoopJoin" in names and names.count("HashAggregate") >= 4  # over blocks, not over rows
 
 
+def test_recurring_accounts_count_pairs_between_classes(spark):
+    from pyspark.sql import types as T
+
+    rows = [(w * 1000 + i, w, 7) for w in (1, 2) for i in range(120)]
+    m = spark.createDataFrame(rows, "txn_id long, window_start long, comm_id long")
+    ledger = T.StructType([T.StructField("txn_id", T.LongType()), T.StructField("payer", T.LongType()), T.StructField("payee", T.LongType())])
+    t = spark.createDataFrame([(w * 1000 + i, i, 500 + (i if w == 1 else 0)) for w in (1, 2) for i in range(120)], ledger)
+    spark.catalog.clearCache()
+    pairs = community.recurring_accounts(m, t, 2, max_pairs_flow=9)
+    got = sorted(map(tuple, pairs.collect()))
+    both = [*range(120), 500]  # in both windows; the other payees are in one
+    assert got == sorted((a, b, 2) for i, a in enumerate(both) for b in both[i + 1 :])
+    scan = pairs._jdf.queryExecution().optimizedPlan().toString()
+    assert "account-classes" in scan or pairs._jdf.queryExecution().executedPlan().toString().count("account-classes") > 0
+
+
 def test_communities_do_not_depend_on_partitions(spark, edges):
     w = second_order.weigh_and_prune(edges, 0.5)
     a = {tuple(r) for r in community.detect(w).select("comm_id", "txn_id").collect()}
