@@ -3,10 +3,12 @@
 import random
 from datetime import date, timedelta
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from trailgraph.operators import anomaly, community, prep, second_order, temporal
+from trailgraph.operators import anomaly, community, components, prep, second_order, temporal
+from trailgraph.operators.components import wcc
 from trailgraph.plans import config, metrics, pipeline
 from trailgraph.sources import ledger, store
 
@@ -157,6 +159,35 @@ def test_distributed_engine_ends_in_few_jobs_with_the_kernels_quality(spark, mon
     assert worth(large) > 0.99 * worth(community.detect(e, engine="kernel"))
 
 
+def test_components_by_forests_equal_the_rounds(spark):
+    rng = random.Random(5)
+    rows = [(g, rng.randrange(60) - 20, rng.randrange(60) - 20) for g in (-1, 3, 7) for _ in range(45)] + [(3, None, 4), (3, 5, None), (7, 900, 900)]
+    e = spark.createDataFrame(rows, "u long, a long, b long").repartition(5).cache()
+    want = {(g, r.node, r.component) for g in (-1, 3, 7) for r in wcc(e.where(F.col("u") == g), "a", "b").collect()}
+    for local in (1000, 0):  # in one task, and by rounds
+        assert sorted(map(tuple, components.wcc_by(e, "u", "a", "b", local=local).collect())) == sorted(want)
+    got = [np.array(x, np.int64) for x in zip(*rows[:45])]
+    assert {tuple(map(int, x)) for x in zip(*components.forest(*got))} == {x for x in want if x[0] == -1 and x[1] != x[2]}
+
+
+def test_a_long_chain_is_labelled_in_few_jobs(spark):
+    e = spark.range(3000).select(F.col("id").alias("src_id"), (F.col("id") + 1).alias("dst_id"), F.lit(1.0).alias("w"))
+    spark.sparkContext.setJobGroup("chain", "chain")
+    assert community.detect(e).count() == 3001
+    spark.sparkContext.setJobGroup("", "")
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("chain")) < 60
+
+
+def test_visiting_orders_in_tasks_of_their_own_give_the_kernels_communities(spark, monkeypatch):
+    rng = random.Random(9)
+    rows = [(100 * c + rng.randrange(40), 100 * c + rng.randrange(40), rng.random() + 0.1) for c in range(3) for _ in range(90)]
+    e = spark.createDataFrame(rows, "src_id long, dst_id long, w double").coalesce(1).cache()
+    found = lambda: sorted(map(tuple, community.detect(e, max_comm_size=12).select("comm_id", "txn_id").collect()))
+    whole = found()
+    monkeypatch.setattr(community, "_APART", 5)
+    assert found() == whole
+
+
 def test_window_mass_counts_for_every_component(spark):
     tri = [(1, 2), (2, 3), (1, 3), (4, 5), (5, 6), (4, 6), (3, 4)]
     rows = [(a + k, b + k, 1.0) for k in (0, 10) for a, b in tri]

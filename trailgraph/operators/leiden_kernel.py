@@ -23,83 +23,82 @@ class _Level:
         self.links, self.out, self.inn, self.size, self.n = links, out, inn, size, len(size)
 
 
-def _penalty(quality: str, resolution: float, m: float):
-    if quality == "cpm":
-        return lambda g, i, so, si, sz: resolution * g.size[i] * sz
-    return lambda g, i, so, si, sz: resolution * (g.out[i] * si + g.inn[i] * so) / m
-
-
-class _Sums:
-    """Strengths and sizes of communities under a labelling."""
-
-    def __init__(self, g: _Level, comm: list[int]):
-        self.out, self.inn, self.size = {}, {}, {}
-        for i, c in enumerate(comm):
-            self.add(g, i, c, 1)
-
-    def add(self, g: _Level, i: int, c: int, sign: int) -> None:
-        self.out[c] = self.out.get(c, 0.0) + sign * g.out[i]
-        self.inn[c] = self.inn.get(c, 0.0) + sign * g.inn[i]
-        self.size[c] = self.size.get(c, 0) + sign * g.size[i]
-
-
-def _touch(g: _Level, i: int, comm: list[int], inside=None) -> dict[int, float]:
-    to: dict[int, float] = {}
-    for j, w in g.links[i].items():
-        if inside is None or inside[j] == inside[i]:
-            to[comm[j]] = to.get(comm[j], 0.0) + w
-    return to
-
-
-def _move(g: _Level, comm: list[int], order: list[int], penalty, cap) -> bool:
-    sums, moved = _Sums(g, comm), False
+def _move(g: _Level, comm: list[int], order: list[int], rule: tuple, cap) -> bool:
+    """``rule``: (whether CPM, resolution, m). Sums over communities are lists and terms are written out, as this loop takes most of the time."""
+    cpm, resolution, m = rule
+    links, free, moved = g.links, max(comm, default=0) + 1, False
+    outs, inns, sizes = [0.0] * free, [0.0] * free, [0] * free
+    for i, c in enumerate(comm):
+        outs[c] += g.out[i]
+        inns[c] += g.inn[i]
+        sizes[c] += g.size[i]
     queue, waiting = deque(order), [True] * g.n
-    free = max(comm, default=0) + 1
     while queue:
         i = queue.popleft()
         waiting[i] = False
-        old, to = comm[i], _touch(g, i, comm)
-        sums.add(g, i, old, -1)
-        gain = lambda c: to.get(c, 0.0) - penalty(g, i, sums.out.get(c, 0.0), sums.inn.get(c, 0.0), sums.size.get(c, 0))
-        best, top = old, gain(old)
+        old, o, n, s, to = comm[i], g.out[i], g.inn[i], g.size[i], {}
+        for j, w in links[i].items():
+            c = comm[j]
+            to[c] = to[c] + w if c in to else w
+        outs[old] -= o
+        inns[old] -= n
+        sizes[old] -= s
+        best, top = old, to.get(old, 0.0) - (resolution * s * sizes[old] if cpm else resolution * (o * inns[old] + n * outs[old]) / m)
         for c in sorted(to):
-            if c != old and (cap is None or sums.size.get(c, 0) + g.size[i] <= cap) and (x := gain(c)) > top + _EPS:
-                best, top = c, x
+            if c != old and (cap is None or sizes[c] + s <= cap):
+                x = to[c] - (resolution * s * sizes[c] if cpm else resolution * (o * inns[c] + n * outs[c]) / m)
+                if x > top + _EPS:
+                    best, top = c, x
         if top < -_EPS:  # better alone
             best, free = free, free + 1
-        sums.add(g, i, best, 1)
+            outs.append(0.0)
+            inns.append(0.0)
+            sizes.append(0)
+        outs[best] += o
+        inns[best] += n
+        sizes[best] += s
         if best != old:
             comm[i], moved = best, True
-            for j in g.links[i]:
+            for j in links[i]:
                 if comm[j] != best and not waiting[j]:
                     waiting[j] = True
                     queue.append(j)
     return moved
 
 
-def _refine(g: _Level, comm: list[int], order: list[int], penalty) -> list[int]:
+def _refine(g: _Level, comm: list[int], order: list[int], rule: tuple) -> list[int]:
     """Sub-communities, grown from single nodes inside each community; only well-connected ones merge."""
-    whole, part = _Sums(g, comm), list(range(g.n))
-    sums, alone = _Sums(g, part), [True] * g.n
-    ties = {i: sum(w for j, w in g.links[i].items() if comm[j] == comm[i]) for i in range(g.n)}  # of each part to the rest of its community
+    cpm, resolution, m = rule
+    k = max(comm, default=0) + 1
+    all_out, all_in, all_size = [0.0] * k, [0.0] * k, [0] * k
+    for i, c in enumerate(comm):
+        all_out[c] += g.out[i]
+        all_in[c] += g.inn[i]
+        all_size[c] += g.size[i]
+    part, alone, outs, inns, sizes = list(range(g.n)), [True] * g.n, list(g.out), list(g.inn), list(g.size)
+    ties = [sum([w for j, w in g.links[i].items() if comm[j] == comm[i]]) for i in range(g.n)]  # of each part to the rest of its community
     for i in order:
-        c = comm[i]
-        if not alone[i] or ties[i] + _EPS < penalty(g, i, whole.out[c] - g.out[i], whole.inn[c] - g.inn[i], whole.size[c] - g.size[i]):
+        c, o, n, s = comm[i], g.out[i], g.inn[i], g.size[i]
+        if not alone[i] or ties[i] + _EPS < (resolution * s * (all_size[c] - s) if cpm else resolution * (o * (all_in[c] - n) + n * (all_out[c] - o)) / m):
             continue
-        to = _touch(g, i, part, comm)
+        to = {}
+        for j, w in g.links[i].items():
+            if comm[j] == c:
+                p = part[j]
+                to[p] = to[p] + w if p in to else w
         best, top = i, 0.0
         for p in sorted(to):
             if p == i:
                 continue
-            so, si, sz = sums.out[p], sums.inn[p], sums.size[p]
-            ro, ri, rz = whole.out[c] - so, whole.inn[c] - si, whole.size[c] - sz
-            need = penalty(_Level(None, [so], [si], [sz]), 0, ro, ri, rz)
-            x = to[p] - penalty(g, i, so, si, sz)
+            so, si, sz = outs[p], inns[p], sizes[p]
+            need = resolution * sz * (all_size[c] - sz) if cpm else resolution * (so * (all_in[c] - si) + si * (all_out[c] - so)) / m
+            x = to[p] - (resolution * s * sz if cpm else resolution * (o * si + n * so) / m)
             if ties[p] + _EPS >= need and x > top + _EPS:
                 best, top = p, x
         if best != i:
-            sums.add(g, i, i, -1)
-            sums.add(g, i, best, 1)
+            outs[best] += o
+            inns[best] += n
+            sizes[best] += s
             ties[best] = ties[best] + ties[i] - 2 * to[best]
             part[i], alone[i], alone[best] = best, False, False
     return part
@@ -145,14 +144,18 @@ def run(src: list, dst: list, w: list, m: float | None = None, resolution: float
     kw = dict(m=m, resolution=resolution, max_comm_size=max_comm_size, quality=quality, directed=directed, max_iterations=max_iterations, size=size)
     if len(src) == 1 or quality != "modularity":
         return _solve(src, dst, w, seed=seed, **kw)
-    found = [_solve(src, dst, w, seed=seed + k, **kw) for k in range(RESTARTS)]
-    if directed:
-        return max(found, key=lambda lab: round(modularity(src, dst, w, lab, m, resolution), 12))
-    s, d, x = [*src, *dst], [*dst, *src], [*w, *w]
-    return max(found, key=lambda lab: round(modularity(s, d, x, lab, None if m is None else 2 * m, resolution), 12))
+    return max((one_start(src, dst, w, seed + k, **kw) for k in range(RESTARTS)), key=lambda x: x[0])[1]
+
+
+def one_start(src: list, dst: list, w: list, seed: int, **kw) -> tuple[float, dict]:
+    """(modularity, labelling) from one visiting order."""
+    lab, m, resolution = _solve(src, dst, w, seed=seed, **kw), kw["m"], kw["resolution"]
+    if kw["directed"]:
+        return round(modularity(src, dst, w, lab, m, resolution), 12), lab
+    return round(modularity([*src, *dst], [*dst, *src], [*w, *w], lab, None if m is None else 2 * m, resolution), 12), lab
 
 
-def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, max_comm_size: int | None, seed: int, quality: str, directed: bool, max_iterations: int, size: dict | None = None) -> dict:
+def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, max_comm_size: int | None, seed: int, quality: str, directed: bool, max_iterations: int = 50, size: dict | None = None) -> dict:
     names = sorted({*src, *dst})
     at = {x: i for i, x in enumerate(names)}
     n = len(names)
@@ -172,17 +175,17 @@ def _solve(src: list, dst: list, w: list, m: float | None, resolution: float, ma
     m = (sum(map(float, w)) if m is None else float(m)) * (1 if directed else 2)
     if m <= 0 or not n:
         return {x: x for x in names}
-    penalty = _penalty(quality, resolution, m)
+    rule = (quality == "cpm", resolution, m)
     rng = random.Random(f"{seed}:{names[0]}")
     g, comm, home = _Level(links, out, inn, [1] * n if size is None else [int(size[x]) for x in names]), list(range(n)), list(range(n))
     for _ in range(max_iterations):
         order = list(range(g.n))
         rng.shuffle(order)
-        moved = _move(g, comm, order, penalty, max_comm_size)
+        moved = _move(g, comm, order, rule, max_comm_size)
         if not moved and len(set(comm)) == g.n:
             break
         rng.shuffle(order)
-        part = _refine(g, comm, order, penalty)
+        part = _refine(g, comm, order, rule)
         after, new = _aggregate(g, part)
         label = [0] * after.n
         for i in range(g.n):
@@ -213,13 +216,13 @@ def parts(nodes, edges, m: float, resolution: float, max_comm_size: int | None,
         i, j = at[s], at[d]
         links[i][j] = links[i].get(j, 0.0) + x
         links[j][i] = links[j].get(i, 0.0) + x
-    g, penalty = _Level(links, nodes["o"].tolist(), nodes["i"].tolist(), nodes["size"].tolist()), _penalty(quality, resolution, m)
+    g, rule = _Level(links, nodes["o"].tolist(), nodes["i"].tolist(), nodes["size"].tolist()), (quality == "cpm", resolution, m)
     rng = random.Random(f"{seed}:{names[0]}")
     comm, order = list(range(g.n)), list(range(g.n))
     rng.shuffle(order)
-    _move(g, comm, order, penalty, max_comm_size)
+    _move(g, comm, order, rule, max_comm_size)
     rng.shuffle(order)
-    part = _refine(g, comm, order, penalty)
+    part = _refine(g, comm, order, rule)
     if len(set(part)) == g.n:
         part = _split_loose(g.n, links, comm)
     return [names[p] for p in part]
