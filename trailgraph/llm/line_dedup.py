@@ -43,6 +43,7 @@ from trailgraph.llm import bitmaps
 from trailgraph.llm.textarrays import chunks, longs, mix64, powers, sums, windows, word_hashes
 
 LEAST = 5
+PIECE = 1 << 19  # bytes of text taken at a time: each character of a short line is a variant, and a variant takes some hundred bytes
 FREQUENT = 1000  # a line that is more than one in so many meets its verdict by broadcast
 _NULL = np.iinfo(np.int64).min
 _CHARACTER = np.uint64(0x5851F42D4C957F2D)  # keeps characters apart from words
@@ -131,7 +132,7 @@ def _scan(rows: DataFrame, make, schema: str) -> DataFrame:
             ids, there = longs(b.column(0))
             ids = np.where(there, ids, _NULL)
             rk, _ = longs(b.column(1))
-            for c in chunks(b.column(2)):
+            for c in chunks(b.column(2), PIECE):
                 part = slice(c.first, c.first + c.n)
                 if (out := make(Lines(c), ids[part], rk[part], c)) is not None:
                     yield out
