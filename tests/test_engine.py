@@ -280,3 +280,20 @@ def test_pipeline_report(spark, sf):
     out = pipeline.run(spark, sf, config.E6h)
     assert {r.stage for r in out["stages"].collect()} == {"ledger", "edges and weights", "communities", "flagging"}
     assert out["flagged"].where("suspicious and not (c1 and c2 and c3)").count() == 0
+
+
+def test_method_comparison_plans(spark, sf, monkeypatch):
+    """No table that the query writes runs a search for communities more than once."""
+    from trailgraph.queries import trail
+
+    searches, write = [], trail.materialize
+
+    def watched(df, label):
+        searches.append(str(df._jdf.queryExecution().optimizedPlan()).count("FlatMapGroupsInPandas"))
+        return write(df, label)
+
+    monkeypatch.setattr(trail, "materialize", watched)
+    trail.clear_memo()
+    out = trail.queries()["method_comparison"](spark, sf)
+    assert {r.method for r in out.collect()} <= {"trail", "trail-unweighted", "motif-join+"}
+    assert max(searches) <= 2 and "FlatMapGroupsInPandas" not in str(out._jdf.queryExecution().optimizedPlan())
